@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, licenses, mixing, quality, substring_dedup, token_count
+from . import fingerprints, licenses, mixing, pieces, quality, secrets, substring_dedup, token_count
 from .common import table
 
 
@@ -23,6 +23,17 @@ def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return kept.select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
 
 
+def op5_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    coded = pieces.encode_documents(table(spark, sf_dir, "documents").select("doc_id", "text"), token_count.vocabulary_path("piece_bpe_32k.model"), decoded=True)
+    same = F.col("decoded") == F.regexp_replace(F.coalesce("text", F.lit("")), pieces.MARK, " ")
+    return coded.select("doc_id", F.size("ids").cast("long").alias("n_pieces"), F.sha2("decoded", 256).alias("decoded_sha256"), same.alias("round_trip"), "ids")
+
+
+def op6_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = secrets.secret_report(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_candidates", "n_secrets", F.sha2("redacted", 256).alias("redacted_sha256"), "secrets")
+
+
 def op8_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.Mix(mixing.slim_sizes(table(spark, sf_dir, "documents"))).taken()
 
@@ -40,6 +51,8 @@ QUERIES = {
     "op2_fingerprints": op2_fingerprints,
     "op3_token_counts": op3_token_counts,
     "op4_substring_dedup": op4_substring_dedup,
+    "op5_pieces": op5_pieces,
+    "op6_secret_scan": op6_secret_scan,
     "op8_source_mix": op8_source_mix,
     "op9_license_scan": op9_license_scan,
     "op10_quality_rules": op10_quality_rules,
