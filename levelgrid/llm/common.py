@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from levelgrid.plans.state import settled
+
 #: words of a text, as a Java or DuckDB pattern
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -13,28 +15,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """The cluster names its shared folder in spark.checkpoint.dir; only where it is unset (tests) one is set here."""
-    context = spark.sparkContext
-    if context.getCheckpointDir() is None:
-        named = spark.conf.get("spark.checkpoint.dir", None)
-        context.setCheckpointDir(named or "/tmp/levelgrid-checkpoints")
-
-
-def settled(frame: DataFrame) -> DataFrame:
-    """The same rows from reliable storage, with their lineage cut."""
-    ensure_checkpoint_dir(frame.sparkSession)
-    return frame.checkpoint(eager=True)
-
-
 def parts(frame: DataFrame) -> int:
     """How many shuffle partitions this session uses."""
     return int(frame.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
 
-def documents_only(frame: DataFrame) -> DataFrame:
-    return frame.select("doc_id", "text")
-
-
 def text_or_empty(name: str = "text"):
     return F.coalesce(F.col(name), F.lit(""))
+
+
+__all__ = ["WORD", "parts", "settled", "table", "text_or_empty"]
