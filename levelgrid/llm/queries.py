@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, jaccard_join, licenses, mixing, pieces, quality, secrets, substring_dedup, token_count
+from . import fingerprints, jaccard_join, licenses, mixing, pieces, quality, quotation, secrets, substring_dedup, token_count
 from .common import table
 
 
@@ -38,6 +38,11 @@ def op6_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_candidates", "n_secrets", F.sha2("redacted", 256).alias("redacted_sha256"), "secrets")
 
 
+def op7_reply_order(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ordered = quotation.reply_ordered(table(spark, sf_dir, "conversations"))
+    return ordered.select("conv_id", "turn", "role", "parent", "depth", "linked", "quote_levels", F.size("links").cast("long").alias("n_links"), "text")
+
+
 def op8_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.Mix(mixing.slim_sizes(table(spark, sf_dir, "documents"))).taken()
 
@@ -58,6 +63,7 @@ QUERIES = {
     "op4_substring_dedup": op4_substring_dedup,
     "op5_pieces": op5_pieces,
     "op6_secret_scan": op6_secret_scan,
+    "op7_reply_order": op7_reply_order,
     "op8_source_mix": op8_source_mix,
     "op9_license_scan": op9_license_scan,
     "op10_quality_rules": op10_quality_rules,
