@@ -113,14 +113,27 @@ def links(told: DataFrame) -> DataFrame:
 
 
 def depths(parents: DataFrame, most_rounds: int = 40) -> DataFrame:
-    """(conv_id, turn, depth) for (conv_id, turn, parent): hops to the message that answers none, by pointer doubling."""
-    state = settled(parents.select("conv_id", "turn", F.col("parent").alias("up"), F.col("parent").isNotNull().cast("long").alias("depth")))
+    """(conv_id, turn, depth) for (conv_id, turn, origin): hops to the message that answers none.
+
+    Messages without a link follow the one before, so a conversation is runs of messages, each of which
+    starts at a linked message or at the first one.  A place in a run is a running number; only the starts
+    of runs are joined, by pointer doubling over runs.
+    """
+    order = Window.partitionBy("conv_id").orderBy("turn")
+    ranked = parents.select("conv_id", "turn", "origin", F.row_number().over(order).alias("rank"))
+    starts = F.when(F.col("origin").isNotNull() | (F.col("rank") == 1), F.struct(F.col("turn").alias("start"), "rank"))
+    held = ranked.withColumn("run", F.last(starts, ignorenulls=True).over(order.rowsBetween(Window.unboundedPreceding, 0)))
+    placed = settled(held.select("conv_id", "turn", "origin", F.col("run.start").alias("start"), (F.col("rank") - F.col("run.rank")).cast("long").alias("offset")))
+    linked = placed.where("origin is not null").select("conv_id", F.col("turn").alias("start"), "origin")
+    above = placed.select("conv_id", F.col("turn").alias("origin"), F.col("start").alias("up"), (F.col("offset") + 1).alias("depth"))
+    state = settled(linked.join(above, ["conv_id", "origin"]).select("conv_id", "start", "up", "depth"))
     for _ in range(most_rounds):
-        if state.where("up is not null").isEmpty():
+        further = state.select("conv_id", F.col("start").alias("up"), F.col("up").alias("further"), F.col("depth").alias("more"))
+        moved = settled(state.join(further, ["conv_id", "up"]).select("conv_id", "start", "further", (F.col("depth") + F.col("more")).alias("sum")))
+        if moved.isEmpty():
             break
-        further = state.select("conv_id", F.col("turn").alias("up"), F.col("up").alias("further"), F.col("depth").alias("more"))
-        state = settled(state.join(further, ["conv_id", "up"], "left").select("conv_id", "turn", F.col("further").alias("up"), (F.col("depth") + F.coalesce("more", F.lit(0))).alias("depth")))
-    return state.select("conv_id", "turn", "depth")
+        state = settled(state.join(moved, ["conv_id", "start"], "left").select("conv_id", "start", F.coalesce("further", "up").alias("up"), F.coalesce("sum", "depth").alias("depth")))
+    return placed.join(state.drop("up"), ["conv_id", "start"], "left").select("conv_id", "turn", (F.col("offset") + F.coalesce("depth", F.lit(0))).alias("depth"))
 
 
 def reply_ordered(messages: DataFrame) -> DataFrame:
@@ -136,9 +149,9 @@ def reply_ordered(messages: DataFrame) -> DataFrame:
     turns = slim.where("conv_id is not null and turn is not null").select("conv_id", "turn").distinct()
     before = turns.withColumn("before", F.lag("turn").over(Window.partitionBy("conv_id").orderBy("turn")))
     parents = settled(
-        before.join(best, ["conv_id", "turn"], "left").join(listed, ["conv_id", "turn"], "left").select("conv_id", "turn", F.coalesce("origin", "before").alias("parent"), F.col("origin").isNotNull().alias("linked"), "links")
+        before.join(best, ["conv_id", "turn"], "left").join(listed, ["conv_id", "turn"], "left").select("conv_id", "turn", "origin", F.coalesce("origin", "before").alias("parent"), F.col("origin").isNotNull().alias("linked"), "links")
     )
-    placed = parents.join(depths(parents), ["conv_id", "turn"])
+    placed = parents.drop("origin").join(depths(parents), ["conv_id", "turn"])
     return told.select("conv_id", "turn", "role", "own", "levels").join(placed, ["conv_id", "turn"], "left").select(
         "conv_id",
         "turn",
