@@ -17,7 +17,7 @@ from levelgrid.plans.state import settled
 def _large_star(edges: DataFrame) -> DataFrame:
     both = edges.unionAll(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
     least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-    return both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
+    return both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
 
 
 def _small_star(edges: DataFrame) -> DataFrame:
@@ -27,19 +27,22 @@ def _small_star(edges: DataFrame) -> DataFrame:
     return moved.unionAll(least.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
 
 
+def _is_stars(edges: DataFrame) -> bool:
+    """Whether every vertex hangs on one other that hangs on none."""
+    twice = edges.groupBy("u").agg(F.count("*").alias("n")).where("n > 1").select("u")
+    inner = edges.select("u").join(edges.select(F.col("v").alias("u")), "u", "left_semi")
+    return twice.unionAll(inner).isEmpty()
+
+
 def star_components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
     """(v, component) for every vertex of `edges` (u, v): the component is its smallest vertex.
 
     Vertices without edges to others are not returned; self-loops and repeated edges don't matter.
     """
     now = settled(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct())
-    mark = None
     for _ in range(max_rounds):
-        now = settled(_small_star(_large_star(now)))
-        # unchanged edges mean stars: a sum of hashes tells without comparing the sets
-        told = now.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.xxhash64("u", "v") % 1_000_000_007), F.lit(0)).alias("h")).first()
-        if mark == tuple(told):
-            roots = now.select(F.col("v").alias("component")).distinct().select(F.col("component").alias("v"), "component")
+        if _is_stars(now):
+            roots = now.select("v", F.col("v").alias("component")).distinct()
             return now.select(F.col("u").alias("v"), F.col("v").alias("component")).unionAll(roots)
-        mark = tuple(told)
+        now = settled(_small_star(_large_star(now)))
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")

@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -69,12 +69,9 @@ def distinct_edges(stream: DataFrame, late: str = "1 hour") -> DataFrame:
     return stream.withWatermark("ts", late).dropDuplicatesWithinWatermark(["src", "dst"])
 
 
-def late_rows(rows: DataFrame, late: str = "1 hour") -> DataFrame:
-    """Of a batch in arrival order (event_id), the rows that come more than `late` after a newer one: a side table."""
-    from pyspark.sql import Window
-
-    by_day = F.date_trunc("day", "ts")
-    newest = F.max("ts").over(Window.partitionBy(by_day).orderBy("event_id").rowsBetween(Window.unboundedPreceding, -1))
+def late_rows(rows: DataFrame, late: str = "1 hour", arrival: str = "event_id") -> DataFrame:
+    """Rows whose source had, in order of `arrival`, a row newer by more than `late` before them: a side table."""
+    newest = F.max("ts").over(Window.partitionBy("src").orderBy(F.expr(arrival)).rowsBetween(Window.unboundedPreceding, -1))
     return rows.withColumn("newest", newest).where(F.col("ts") < F.col("newest") - F.expr(f"INTERVAL {late}")).drop("newest")
 
 
