@@ -28,6 +28,7 @@ NOTICES = (
     ("permission is hereby granted free of charge to any person obtaining a copy", "mit"),
     ("apache license version 2 0", "apache"),
     ("gnu general public license", "gpl"),
+    ("general public license", "gpl"),
     ("gnu lesser general public license", "lgpl"),
     ("gnu affero general public license", "agpl"),
     ("redistribution and use in source and binary forms with or without modification", "bsd"),
