@@ -19,7 +19,7 @@ from levelgrid.operators.components import star_components
 from levelgrid.operators.search import Search, search
 from levelgrid.plans import layout
 from levelgrid.plans.state import ensure_checkpoint_dir, settled
-from levelgrid.sources import graphs
+from levelgrid.sources import generator, graphs
 from levelgrid.streaming import edges as streams
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -469,25 +469,26 @@ _ROWS_OP = _traffic("op", 4, 4, f""", rows_ AS (SELECT 'fold' AS phase, * FROM (
 _SUMS = "count(*) AS messages, sum(vertices)::BIGINT AS vertices, sum(bytes_list)::BIGINT AS bytes_list, sum(bytes_bitmap)::BIGINT AS bytes_bitmap, sum(bytes_auto)::BIGINT AS bytes_auto"
 
 
-@query("traffic_rollup", f"{_ROWS_OP} SELECT phase, level, {_SUMS} FROM rows_ GROUP BY ROLLUP (phase, level)")
+#: totals of a rollup stand under 'all' and -1
+@query("traffic_rollup", f"{_ROWS_OP} SELECT coalesce(phase, 'all') AS phase, coalesce(level, -1) AS level, {_SUMS} FROM rows_ GROUP BY ROLLUP (phase, level)")
 def _(spark, d):
-    return measures.traffic_totals(_rows(spark, d))
+    return measures.traffic_totals(_rows(spark, d)).fillna({"phase": "all", "level": -1})
 
 
-@query("agg_grouping_sets_traffic", f"{_ROWS_OP} SELECT phase, sender, receiver, sum(vertices)::BIGINT AS vertices FROM rows_ GROUP BY GROUPING SETS ((phase, sender), (phase, receiver), (phase))")
+@query("agg_grouping_sets_traffic", f"{_ROWS_OP} SELECT phase, coalesce(sender, -1) AS sender, coalesce(receiver, -1) AS receiver, sum(vertices)::BIGINT AS vertices FROM rows_ GROUP BY GROUPING SETS ((phase, sender), (phase, receiver), (phase))")
 def _(spark, d):
     _rows(spark, d).createOrReplaceTempView("traffic_rows")
-    return spark.sql("SELECT phase, sender, receiver, sum(vertices) AS vertices FROM traffic_rows GROUP BY GROUPING SETS ((phase, sender), (phase, receiver), (phase))")
+    return spark.sql("SELECT phase, coalesce(sender, -1) AS sender, coalesce(receiver, -1) AS receiver, sum(vertices) AS vertices FROM traffic_rows GROUP BY GROUPING SETS ((phase, sender), (phase, receiver), (phase))")
 
 
-@query("agg_cube_codec", f"{_ROWS_OP} SELECT phase, kind, count(*) AS messages FROM rows_ GROUP BY CUBE (phase, kind)")
+@query("agg_cube_codec", f"{_ROWS_OP} SELECT coalesce(phase, 'all') AS phase, coalesce(kind, 'all') AS kind, count(*) AS messages FROM rows_ GROUP BY CUBE (phase, kind)")
 def _(spark, d):
-    return _rows(spark, d).cube("phase", "kind").agg(F.count("*").alias("messages"))
+    return _rows(spark, d).cube("phase", "kind").agg(F.count("*").alias("messages")).fillna("all")
 
 
-@query("agg_rollup_traffic", f"{_ROWS_OP} SELECT level, sender, sum(bytes_auto)::BIGINT AS bytes_auto FROM rows_ GROUP BY ROLLUP (level, sender)")
+@query("agg_rollup_traffic", f"{_ROWS_OP} SELECT coalesce(level, -1) AS level, coalesce(sender, -1) AS sender, sum(bytes_auto)::BIGINT AS bytes_auto FROM rows_ GROUP BY ROLLUP (level, sender)")
 def _(spark, d):
-    return _rows(spark, d).rollup("level", "sender").agg(F.sum("bytes_auto").alias("bytes_auto"))
+    return _rows(spark, d).rollup("level", "sender").agg(F.sum("bytes_auto").alias("bytes_auto")).fillna(-1)
 
 
 @query(
@@ -751,6 +752,12 @@ def _(spark, d):
     return spark.read.parquet(path).where("gj = 1").groupBy("cell").agg(F.sum(F.size("targets").cast("long")).alias("edges"))
 
 
+@query("io_generator_source", sql.rmat(9))
+def _(spark, d):
+    generator.register(spark)
+    return spark.read.format("rmat").option("scale", 9).option("partitions", 3).load()
+
+
 # ---- joins
 
 @query("join_semi_component", sql.with_levels("geo", "SELECT src, dst FROM t WHERE src IN (SELECT v FROM levels)"))
@@ -779,10 +786,10 @@ def _(spark, d):
     return units.join(spread, "cell").where("i >= before and i < before + degree").select("i", "k")
 
 
-@query("join_full_outer_diff", sql.with_levels("op", "SELECT v, a, b FROM (SELECT v, level AS a FROM levels WHERE v % 3 <> 0) FULL JOIN (SELECT v, level + (v % 5 = 0)::INT AS b FROM levels) USING (v) WHERE a IS DISTINCT FROM b"))
+@query("join_full_outer_diff", sql.with_levels("op", "SELECT v, coalesce(a, -1) AS a, coalesce(b, -1) AS b FROM (SELECT v, level AS a FROM levels WHERE v % 3 <> 0) FULL JOIN (SELECT v, level + (v % 5 = 0)::INT AS b FROM levels) USING (v) WHERE a IS DISTINCT FROM b"))
 def _(spark, d):
     found = levels(spark, d, "op")
-    return measures.compare(found.where("v % 3 <> 0"), found.select("v", (F.col("level") + (F.col("v") % 5 == 0).cast("int")).alias("level")))
+    return measures.compare(found.where("v % 3 <> 0"), found.select("v", (F.col("level") + (F.col("v") % 5 == 0).cast("int")).alias("level"))).fillna(-1)
 
 
 @query("join_self_copurchase", "SELECT a.l_partkey AS src, b.l_partkey AS dst, count(*) AS orders FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey AND b.l_linenumber = a.l_linenumber + 1 GROUP BY 1, 2")
@@ -805,7 +812,7 @@ def _(spark, d):
 
 # ---- aggregations, windows, order, sets
 
-@query("agg_min_by_parent", sql.with_levels("ps", "SELECT e.dst AS v, min(level) AS level, min_by(src, level * 1000000000 + src)::BIGINT AS pred FROM e JOIN levels ON levels.v = src GROUP BY 1"))
+@query("agg_min_by_parent", sql.with_levels("ps", "SELECT e.dst AS v, min(level) AS level, min_by(src, level::BIGINT * 1000000000 + src)::BIGINT AS pred FROM e JOIN levels ON levels.v = src GROUP BY 1"))
 def _(spark, d):
     return graph(spark, d, "ps").join(levels(spark, d, "ps").withColumnRenamed("v", "src"), "src").groupBy(F.col("dst").alias("v")).agg(F.min("level").alias("level"), F.min_by("src", F.struct("level", "src")).alias("pred"))
 
@@ -835,10 +842,10 @@ def _(spark, d):
 _SIZES = "sizes AS (SELECT level, count(*) AS n FROM levels GROUP BY 1)"
 
 
-@query("win_lag_frontier_growth", sql.with_levels("op", f", {_SIZES} SELECT level, n, n - lag(n) OVER (ORDER BY level) AS growth FROM sizes"))
+@query("win_lag_frontier_growth", sql.with_levels("op", f", {_SIZES} SELECT level, n, n - lag(n, 1, 0) OVER (ORDER BY level) AS growth FROM sizes"))
 def _(spark, d):
     sizes = levels(spark, d, "op").groupBy("level").agg(F.count("*").alias("n"))
-    return sizes.withColumn("growth", F.col("n") - F.lag("n").over(Window.orderBy("level")))
+    return sizes.withColumn("growth", F.col("n") - F.lag("n", 1, 0).over(Window.orderBy("level")))
 
 
 @query("win_cumulative_visited", sql.with_levels("op", f", {_SIZES} SELECT level, sum(n) OVER (ORDER BY level)::BIGINT AS visited FROM sizes"))
@@ -916,7 +923,7 @@ def _(spark, d):
 
 @query(
     "fn_cosine_pairs",
-    """SELECT a.vec_id AS src, b.vec_id AS dst, round(list_sum(list_transform(list_zip(a.e, b.e), p -> p[1] * p[2])) / (sqrt(list_sum(list_transform(a.e, x -> x * x))) * sqrt(list_sum(list_transform(b.e, x -> x * x)))), 4) AS cosine
+    """SELECT a.vec_id AS src, b.vec_id AS dst, round(list_sum([p[1] * p[2] FOR p IN list_zip(a.e, b.e)]) / (sqrt(list_sum([x * x FOR x IN a.e])) * sqrt(list_sum([x * x FOR x IN b.e]))), 4) AS cosine
     FROM (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) a JOIN (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings) b ON b.vec_id = a.vec_id + 1""",
 )
 def _(spark, d):

@@ -34,15 +34,16 @@ def _is_stars(edges: DataFrame) -> bool:
     return twice.unionAll(inner).isEmpty()
 
 
-def star_components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
+def star_components(edges: DataFrame, max_rounds: int = 50, rows: int | None = None) -> DataFrame:
     """(v, component) for every vertex of `edges` (u, v): the component is its smallest vertex.
 
     Vertices without edges to others are not returned; self-loops and repeated edges don't matter.
+    `rows`, if known, bounds the number of different edges.
     """
-    now = settled(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct())
+    now = settled(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), rows)
     for _ in range(max_rounds):
         if _is_stars(now):
             roots = now.select("v", F.col("v").alias("component")).distinct()
             return now.select(F.col("u").alias("v"), F.col("v").alias("component")).unionAll(roots)
-        now = settled(_small_star(_large_star(now)))
+        now = settled(_small_star(_large_star(now)), rows)
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")

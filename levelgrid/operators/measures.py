@@ -105,3 +105,18 @@ def shares(seconds: dict[str, float]) -> dict[str, float]:
     """Transfer (expand, fold) and update as shares of the four phases."""
     total = sum(seconds.values()) or 1.0
     return {"transfer": (seconds.get("expand", 0) + seconds.get("fold", 0)) / total, "update": seconds.get("update", 0) / total}
+
+
+def speedup(seconds_one: float, seconds_p: float) -> float:
+    """How many times faster p cells are than one (or a run than another)."""
+    return seconds_one / seconds_p if seconds_p > 0 else float("inf")
+
+
+def efficiency(seconds_one: float, seconds_p: float, p: int) -> float:
+    return speedup(seconds_one, seconds_p) / p
+
+
+def ratios(runs: DataFrame, other: DataFrame, on: list[str]) -> DataFrame:
+    """Rates of two sets of runs (on..., teps) side by side, and how many times the first is the second."""
+    joined = runs.select(*on, F.col("teps").alias("a")).join(other.select(*on, F.col("teps").alias("b")), on, "full_outer")
+    return joined.withColumn("ratio", F.col("a") / F.col("b"))

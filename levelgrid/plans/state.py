@@ -15,9 +15,19 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
         context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/levelgrid-checkpoints")
 
 
-def settled(frame: DataFrame) -> DataFrame:
-    """The same rows from reliable storage, with their lineage cut."""
+#: rows of slim state that one checkpoint file takes
+ROWS_A_FILE = 100_000
+
+
+def settled(frame: DataFrame, rows: int | None = None) -> DataFrame:
+    """The same rows from reliable storage, with their lineage cut.
+
+    `rows`, where it is known, bounds how many there are: small state is then written by as few tasks as
+    there are cores, not in a file for each shuffle partition; large state keeps its partitions.
+    """
     ensure_checkpoint_dir(frame.sparkSession)
+    if rows is not None:
+        frame = frame.coalesce(max(frame.sparkSession.sparkContext.defaultParallelism, -(-rows // ROWS_A_FILE)))
     return frame.checkpoint(eager=True)
 
 

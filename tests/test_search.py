@@ -3,6 +3,7 @@
 import random
 from collections import deque
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -160,3 +161,26 @@ def test_same_result_whatever_the_session(spark, toy):
     for settings in ({"spark.sql.shuffle.partitions": "1"}, {"spark.sql.adaptive.enabled": "false"}, {"spark.sql.shuffle.partitions": "7"}):
         with held(spark, settings):
             assert rows(search(toy, 0).tree()) == OWNER_FIRST
+
+
+def test_chained_calls(spark):
+    from levelgrid.api import GraphSearch
+
+    toy = GraphSearch(spark).from_edges(spark.createDataFrame(TOY, "src long, dst long"))
+    assert rows(toy.grid(2, 2).bfs(0).tree()) == OWNER_FIRST
+    assert rows(toy.modulo(3).bfs(0).levels()) == rows(toy.levels(0)) == rows(toy.bfs(0).levels())
+    assert toy.tuples_traversed(toy.levels(0)) == len(TOY)
+    with pytest.raises(ValueError):
+        toy.bfs(8)
+    with pytest.raises(ValueError):
+        GraphSearch(spark).from_edges(spark.createDataFrame(TOY, "src long, dst long"), 5)
+    with pytest.raises(ValueError):
+        GraphSearch(spark).from_edges(spark.createDataFrame([(1, 2)], "src int, dst int"))
+
+
+def test_generator_source(spark):
+    from levelgrid.sources import generator
+    generator.register(spark)
+    wanted = rows(rmat_edges(spark, 6))
+    assert rows(spark.read.format("rmat").option("scale", 6).option("partitions", 3).load()) == wanted
+    assert wanted == sorted(zip(*(x.tolist() for x in generator.tuples_of(np.arange(16 << 6), 6, 42))))
