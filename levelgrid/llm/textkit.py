@@ -16,7 +16,7 @@ import pyarrow.compute as pc
 
 U64 = np.uint64
 #: bytes of text handled at once; a longer single document is handled alone
-PIECE_BYTES = 4 << 20
+PIECE_BYTES = 1 << 20
 
 _rng = np.random.default_rng(20240229)
 _BYTE_VALUE = _rng.integers(1, 2**63, 256, dtype=np.int64).astype(U64) | U64(1)
