@@ -37,15 +37,22 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from levelgrid.operators.components import star_components
+from levelgrid.plans.state import held
 
 from .common import settled
 from .textkit import U64, Words, grams, slices, split_words, text_buffer, text_column
 
 GRAM, COORDINATES = 5, 64
 RUNS, CHILDREN, DEPTH = 10, 2, 12
-LIMIT, PIVOTS, BLOCK = 400, 4, 512
-#: agreeing coordinates of 64: candidates (a pair at 0.8 falls below once in 10**5), links to pivots, and leaving with a pivot
-CANDIDATE, PIVOT_LINK, PIVOT_NEAR = 36, 24, 54
+LIMIT, PIVOTS = 2000, 4
+#: texts, and 5-grams, of a block in the exact step
+BLOCK, BLOCK_GRAMS = 512, 1 << 20
+#: agreeing coordinates of 64: candidates (a pair at 0.8 falls below once in 10**5), links to pivots, and leaving with a pivot;
+#: a text at 0.55 from a pivot leaves, what is similar to it is at 0.35 or nearer and so linked to the pivot too
+CANDIDATE, PIVOT_LINK, PIVOT_NEAR = 36, 12, 42
+
+#: rows with a text or a gram set can be large: fewer of them stand in memory at once
+SMALL_BATCHES = {"spark.sql.execution.arrow.maxRecordsPerBatch": "500"}
 
 _rng = np.random.default_rng(7)
 _FACTORS = _rng.integers(1, 2**63, COORDINATES, dtype=np.int64).astype(U64) * U64(2) + U64(1)
@@ -83,7 +90,7 @@ def minhashes(sets: list[np.ndarray]) -> np.ndarray:
 
 
 def signatures(documents: DataFrame, n: int = GRAM) -> DataFrame:
-    """(doc_id, node, signature) of each row of (doc_id, text): the name of its gram set, null if it has none."""
+    """(doc_id, node, grams, signature) of each row of (doc_id, text): its gram set's name (null if it has none) and size."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -94,27 +101,30 @@ def signatures(documents: DataFrame, n: int = GRAM) -> DataFrame:
                 if full:
                     for i, row in zip(full, minhashes([sets[i] for i in full])):
                         names[i], signed[i] = set_name(sets[i]), row.tobytes()
-                yield pa.RecordBatch.from_arrays([part.column(0).cast(pa.int64()), pa.array(names, pa.int64()), pa.array(signed, pa.binary())], names=["doc_id", "node", "signature"])
+                yield pa.RecordBatch.from_arrays([part.column(0).cast(pa.int64()), pa.array(names, pa.int64()), pa.array([len(x) for x in sets], pa.int64()), pa.array(signed, pa.binary())], names=["doc_id", "node", "grams", "signature"])
 
-    return documents.select("doc_id", "text").mapInArrow(run, "doc_id long, node long, signature binary")
+    return documents.select("doc_id", "text").mapInArrow(run, "doc_id long, node long, grams long, signature binary")
 
 
 def _token(coordinate) -> F.Column:
     return F.substring("signature", coordinate * 4 + 1, F.lit(4))
 
 
-def _shared(rows: DataFrame) -> DataFrame:
-    """(bucket, node, n) of buckets with two nodes or more."""
+def _shared(rows: DataFrame, most: int) -> DataFrame:
+    """`rows` (bucket, node, ...) of buckets with two nodes or more, with their number n."""
     counts = rows.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
-    return settled(rows.join(counts, "bucket"))
+    return settled(rows.join(counts, "bucket"), most)
 
 
-def _groups(labels: np.ndarray) -> np.ndarray:
+def _groups(linked: np.ndarray) -> np.ndarray:
     """Components of a boolean adjacency matrix: for each row the smallest row it is joined to."""
-    label = np.arange(len(labels))
+    n = len(linked)
+    label = np.arange(n, dtype=np.int32)
     while True:
-        seen = np.where(labels, label[None, :], len(labels)).min(axis=1)
-        new = np.minimum(label, seen)
+        new = label.copy()
+        for low in range(0, n, 256):
+            part = slice(low, low + 256)
+            new[part] = np.minimum(new[part], np.where(linked[part], label[None, :], np.int32(n)).min(axis=1, initial=n))
         new = new[new]
         if (new == label).all():
             return label
@@ -177,7 +187,10 @@ def brute_force(rows: DataFrame) -> DataFrame:
 
 
 def against_pivots(rows: DataFrame) -> DataFrame:
-    """For large buckets' rows (bucket, node, signature, pivots): the pivots each is linked to, and whether it leaves."""
+    """For large buckets' rows (bucket, node, signature, pivots): a link to the first pivot that each is near, and whether it leaves.
+
+    Pivots that a row is near at once are linked to each other in rows of their own, which leave.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -190,40 +203,51 @@ def against_pivots(rows: DataFrame) -> DataFrame:
             of = np.repeat(np.arange(len(own)), sizes)
             agree = (own[of] == _sketches(flat.field("signature"))).sum(axis=1)
             names = flat.field("node").to_numpy(zero_copy_only=False)
-            links: list[list[int]] = [[] for _ in range(len(own))]
-            for k in np.flatnonzero(agree >= PIVOT_LINK):
-                links[of[k]].append(int(names[k]))
+            link: list[int | None] = [None] * len(own)
+            joined: set[tuple[int, int]] = set()
+            for k in np.flatnonzero(agree >= PIVOT_LINK).tolist():
+                first = link[of[k]]
+                if first is None:
+                    link[of[k]] = int(names[k])
+                else:
+                    joined.add((int(names[k]), first))
             leaves = np.bincount(of, weights=agree >= PIVOT_NEAR, minlength=len(own)) > 0
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(links, pa.list_(pa.int64())), pa.array(leaves)], names=["bucket", "node", "links", "leaves"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(link, pa.int64()), pa.array(leaves)], names=["bucket", "node", "signature", "link", "leaves"])
+            if joined:
+                more = [pa.array([None] * len(joined), pa.int64()), pa.array([a for a, _ in joined], pa.int64()), pa.array([None] * len(joined), pa.binary()), pa.array([b for _, b in joined], pa.int64()), pa.array([True] * len(joined))]
+                yield pa.RecordBatch.from_arrays(more, names=["bucket", "node", "signature", "link", "leaves"])
 
-    return rows.select("bucket", "node", "signature", "pivots").mapInArrow(run, "bucket long, node long, links array<long>, leaves boolean")
+    return rows.select("bucket", "node", "signature", "pivots").mapInArrow(run, "bucket long, node long, signature binary, link long, leaves boolean")
 
 
-def candidate_edges(texts: DataFrame, limit: int = LIMIT, depth: int = DEPTH) -> list[DataFrame]:
-    """Stars (u, v) over all texts (node, signature) whose signatures show a candidate pair."""
+def candidate_edges(texts: DataFrame, n: int, limit: int = LIMIT, depth: int = DEPTH) -> list[DataFrame]:
+    """Stars (u, v) over all n texts (node, signature) whose signatures show a candidate pair.
+
+    Root buckets are counted on ids alone; signatures join only what shares a bucket, and stay with it below.
+    """
     signed = texts.select("node", "signature")
     tokens = F.array(*(F.xxhash64(F.lit(run), _token(F.lit(run))) for run in range(RUNS)))
-    rows = signed.select("node", F.explode(tokens).alias("bucket"))
+    shared = _shared(signed.select("node", F.explode(tokens).alias("bucket")), n * RUNS)
     found = []
     for level in range(depth + 1):
-        shared = _shared(rows)
-        found.append(settled(brute_force(shared.where(F.col("n") <= limit).join(signed, "node"))))
+        signs = (lambda frame: frame.join(signed, "node")) if level == 0 else (lambda frame: frame)
+        found.append(settled(brute_force(signs(shared.where(F.col("n") <= limit))), n * RUNS))
         large = shared.where(F.col("n") > limit)
         if large.isEmpty():
             return found
         if level == depth:
             roots = large.groupBy("bucket").agg(F.min("node").alias("v"))
-            found.append(large.join(roots, "bucket").select(F.col("node").alias("u"), "v"))
+            found.append(large.select("bucket", F.col("node").alias("u")).join(roots, "bucket").select("u", "v"))
             return found
-        chosen = large.groupBy("bucket").agg(*(F.min(F.struct(F.xxhash64(F.lit(i), "node").alias("h"), "node"))["node"].alias(f"p{i}") for i in range(PIVOTS)))
-        chosen = chosen.select("bucket", F.explode(F.array_distinct(F.array(*(f"p{i}" for i in range(PIVOTS))))).alias("node"))
-        pivots = chosen.join(signed, "node").groupBy("bucket").agg(F.collect_list(F.struct("node", "signature")).alias("pivots"))
-        told = settled(against_pivots(large.join(signed, "node").join(pivots, "bucket")))
-        found.append(told.select(F.col("node").alias("u"), F.explode("links").alias("v")))
-        stay = told.where(~F.col("leaves")).select("bucket", "node").join(signed, "node")
+        large = signs(large.drop("n"))
+        first = lambda i: F.min(F.struct(F.xxhash64(F.lit(i), "node").alias("h"), "node", "signature")).alias(f"p{i}")
+        chosen = large.groupBy("bucket").agg(*(first(i) for i in range(PIVOTS)))
+        pivots = chosen.select("bucket", F.array_distinct(F.array(*(F.struct(f"p{i}.node", f"p{i}.signature") for i in range(PIVOTS)))).alias("pivots"))
+        told = settled(against_pivots(large.join(pivots, "bucket")), n * RUNS)
+        found.append(told.where("link is not null").select(F.col("node").alias("u"), F.col("link").alias("v")))
         coordinate = lambda child: (RUNS + F.pmod(F.xxhash64("bucket", F.lit(child)), F.lit(COORDINATES - RUNS))).cast("int")
         children = F.array(*(F.xxhash64("bucket", F.lit(level), coordinate(j), _token(coordinate(j))) for j in range(CHILDREN)))
-        rows = stay.select("node", F.explode(F.array_distinct(children)).alias("bucket"))
+        shared = _shared(told.where(~F.col("leaves")).select("node", "signature", F.explode(F.array_distinct(children)).alias("bucket")), n * RUNS)
     return found
 
 
@@ -313,24 +337,29 @@ def near_duplicates(documents: DataFrame) -> DataFrame:
     class_id is the smallest doc_id among all documents that links join, directly or through others;
     n_links counts the other documents with Jaccard 0.8 or more, copies included; n_texts the different texts among them.
     """
-    signed = settled(signatures(documents))
-    texts = settled(signed.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("doc"), F.count("*").alias("copies"), F.first("signature").alias("signature")))
+    with held(documents.sparkSession, SMALL_BATCHES):
+        signed = settled(signatures(documents))
+    n = signed.count()
+    texts = settled(signed.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("doc"), F.count("*").alias("copies"), F.first("grams").alias("grams"), F.first("signature").alias("signature")), n)
     edges = None
-    for found in candidate_edges(texts):
-        edges = found if edges is None else edges.unionAll(found)
-    groups = star_components(edges).select(F.col("v").alias("node"), F.col("component").alias("part"))
-    sizes = groups.groupBy("part").agg(F.count("*").alias("size"))
-    blocks = F.ceil(F.col("size") / BLOCK).cast("int")
-    members = settled(groups.join(sizes, "part").withColumn("blocks", blocks).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")).join(texts.drop("signature"), "node"))
+    with held(documents.sparkSession, {"spark.sql.execution.arrow.maxRecordsPerBatch": "4000"}):
+        for found in candidate_edges(texts, n):
+            edges = found if edges is None else edges.unionAll(found)
+    groups = star_components(edges, rows=n * RUNS).select(F.col("v").alias("node"), F.col("component").alias("part"))
+    groups = groups.join(texts.drop("signature"), "node")
+    blocks = F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum("grams") / BLOCK_GRAMS)).cast("int")
+    sizes = groups.groupBy("part").agg(blocks.alias("blocks"))
+    members = settled(groups.join(sizes, "part").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")), n)
     sets = with_sets(documents, members.select("node", "doc", "copies", "part", "blocks", "block"))
     # each block meets itself and every other one: (first, second) with first <= second
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     pairs = sets.withColumn("other", other).withColumn("first", F.least("block", "other")).withColumn("second", F.greatest("block", "other"))
     side = F.when(F.col("first") == F.col("second"), 0).when(F.col("block") == F.col("first"), 1).otherwise(2)
     pairs = pairs.withColumn("side", side).withColumn("key", F.xxhash64("part", "first", "second"))
-    links = settled(exact_links(pairs))
+    with held(documents.sparkSession, SMALL_BATCHES):
+        links = settled(exact_links(pairs))
     counts = links.groupBy("node").agg(F.sum("texts").alias("texts"), F.sum("documents").alias("documents"), F.min("root").alias("root"))
-    joined = star_components(links.select(F.col("node").alias("u"), F.col("root").alias("v")))
+    joined = star_components(links.select(F.col("node").alias("u"), F.col("root").alias("v")), rows=n * RUNS)
     classes = counts.join(joined.select(F.col("v").alias("node"), "component"), "node", "left").select("node", "texts", "documents", F.coalesce("component", "node").alias("component"))
     least = classes.join(texts.select("node", "doc"), "node").groupBy("component").agg(F.min("doc").alias("class_doc"))
     told = texts.select("node", "doc", "copies").join(classes.join(least, "component"), "node", "left")
