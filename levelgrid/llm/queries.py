@@ -119,4 +119,34 @@ JOIN targets t ON p.source IS NOT DISTINCT FROM t.source
 LEFT JOIN reach r ON p.source IS NOT DISTINCT FROM r.source
 """
 
-ORACLE_SQL = {"op8_source_mix": _OP8_SQL}
+_OP1_SQL = r"""
+WITH RECURSIVE texts AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+grams AS (
+  SELECT DISTINCT doc_id, gram FROM (
+    SELECT doc_id, unnest([array_to_string(w[i : i + 4], ' ') FOR i IN range(1, len(w) - 3)]) AS gram FROM texts WHERE len(w) >= 5
+    UNION ALL SELECT doc_id, array_to_string(w, ' ') FROM texts WHERE len(w) BETWEEN 1 AND 4)),
+sets AS (SELECT doc_id, count(*) AS n, md5(string_agg(gram, chr(10) ORDER BY gram)) AS name FROM grams GROUP BY doc_id),
+shared AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS n FROM grams a JOIN grams b ON a.gram = b.gram AND a.doc_id <> b.doc_id GROUP BY 1, 2),
+links AS (
+  SELECT s.a, s.b, x.name AS a_name, y.name AS b_name FROM shared s JOIN sets x ON x.doc_id = s.a JOIN sets y ON y.doc_id = s.b
+  WHERE 5 * s.n >= 4 * (x.n + y.n - s.n)),
+reach(v, c) AS (SELECT doc_id, doc_id FROM documents UNION SELECT l.b, r.c FROM reach r JOIN links l ON l.a = r.v),
+classes AS (SELECT v, min(c) AS class_id FROM reach GROUP BY v)
+SELECT d.doc_id, c.class_id, count(l.b) AS n_links, count(DISTINCT l.b_name) FILTER (WHERE l.b_name <> l.a_name) AS n_texts
+FROM documents d JOIN classes c ON c.v = d.doc_id LEFT JOIN links l ON l.a = d.doc_id GROUP BY 1, 2
+"""
+
+_OP4_SQL = r"""
+WITH texts AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+words AS (SELECT doc_id, len(w) AS n, unnest(w) AS word, unnest(range(len(w))) AS pos FROM texts),
+windows AS (
+  SELECT doc_id, pos, n, word, CASE WHEN pos + 20 <= n THEN
+    md5(string_agg(word, ' ') OVER (PARTITION BY doc_id ORDER BY pos ROWS BETWEEN CURRENT ROW AND 19 FOLLOWING)) END AS h FROM words),
+judged AS (SELECT *, CASE WHEN h IS NOT NULL AND row_number() OVER (PARTITION BY h ORDER BY doc_id, pos) > 1 THEN 1 ELSE 0 END AS later FROM windows),
+covered AS (SELECT doc_id, pos, word, max(later) OVER (PARTITION BY doc_id ORDER BY pos ROWS BETWEEN 19 PRECEDING AND CURRENT ROW) AS gone FROM judged),
+told AS (SELECT doc_id, sum(gone)::BIGINT AS n_removed, string_agg(word, ' ' ORDER BY pos) FILTER (WHERE gone = 0) AS kept FROM covered GROUP BY doc_id)
+SELECT t.doc_id, len(w)::BIGINT AS n_words, coalesce(n_removed, 0)::BIGINT AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256
+FROM texts t LEFT JOIN told USING (doc_id)
+"""
+
+ORACLE_SQL = {"op1_jaccard_join": _OP1_SQL, "op4_substring_dedup": _OP4_SQL, "op8_source_mix": _OP8_SQL}
