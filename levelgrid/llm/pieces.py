@@ -108,7 +108,7 @@ class PieceCoder:
             for e in range(shared + 1, len(word) + 1):
                 found = -1
                 longest = reach.get(word[e - 1], 0)
-                for n in range(min(longest, e), 0, -1):
+                for n in range(1, min(longest, e) + 1):
                     piece = reached.get(word[e - n : e])
                     if piece is None:
                         continue
