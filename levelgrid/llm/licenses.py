@@ -114,7 +114,7 @@ class Scanner:
 
 
 def closest(found: list[dict]) -> list[dict]:
-    """Without the fuzzy findings that a finding with another label and fewer edits overlaps."""
+    """Without the fuzzy findings that a finding with another label, fewer edits and no fewer words overlaps."""
     by_place = sorted(found, key=lambda x: (x["first_word"], x["last_word"]))
     out, near = [], 0
     longest = max((x["last_word"] - x["first_word"] for x in found), default=0)
@@ -125,7 +125,7 @@ def closest(found: list[dict]) -> list[dict]:
         for y in by_place[near:]:
             if y["first_word"] > x["last_word"]:
                 break
-            worse |= not x["exact"] and y["label"] != x["label"] and y["last_word"] >= x["first_word"] and y["edits"] < x["edits"]
+            worse |= not x["exact"] and y["label"] != x["label"] and y["last_word"] >= x["first_word"] and y["edits"] < x["edits"] and y["last_word"] - y["first_word"] >= x["last_word"] - x["first_word"]
         if not worse:
             out.append(x)
     return out
