@@ -177,7 +177,7 @@ def _gathered(answers: DataFrame, name: str) -> DataFrame:
 def without_repeats(documents: DataFrame, length: int = 20) -> DataFrame:
     """doc_id, n_words, n_removed and the kept words, joined by single spaces, for each row of (doc_id, text)."""
     texts = packed(documents)
-    total = texts.agg(F.coalesce(F.sum("bytes"), F.lit(0)).alias("n")).first()["n"]
+    total, batches = texts.agg(F.coalesce(F.sum("bytes"), F.lit(0)), F.count("*")).first()
     bits = max(6, (max(total, 1) // PART_BYTES).bit_length())
 
     def low_bits(values: np.ndarray) -> np.ndarray:
@@ -246,7 +246,7 @@ def without_repeats(documents: DataFrame, length: int = 20) -> DataFrame:
 
     sent = texts.select("batch", "ids", "ends", "texts").mapInArrow(send_anchors, "part int, batch long, hashes binary")
     shared = _gathered(sent.repartition("part").sortWithinPartitions("part").mapInArrow(meet_anchors, _ANSWER), "shared")
-    shared = settled(shared)
+    shared = settled(shared, batches)
     with_shared = texts.select("batch", "ids", "ends", "texts").join(shared, "batch", "left")
     windows = with_shared.mapInArrow(send_windows, "part int, batch long, least long, hashes binary, checks binary, ids binary, starts binary")
     earlier = _gathered(windows.repartition("part").sortWithinPartitions("part").mapInArrow(meet_windows, _ANSWER), "earlier")
