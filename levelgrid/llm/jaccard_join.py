@@ -357,7 +357,7 @@ def near_duplicates(documents: DataFrame) -> DataFrame:
     side = F.when(F.col("first") == F.col("second"), 0).when(F.col("block") == F.col("first"), 1).otherwise(2)
     pairs = pairs.withColumn("side", side).withColumn("key", F.xxhash64("part", "first", "second"))
     with held(documents.sparkSession, SMALL_BATCHES):
-        links = settled(exact_links(pairs))
+        links = settled(exact_links(pairs), n * RUNS)
     counts = links.groupBy("node").agg(F.sum("texts").alias("texts"), F.sum("documents").alias("documents"), F.min("root").alias("root"))
     joined = star_components(links.select(F.col("node").alias("u"), F.col("root").alias("v")), rows=n * RUNS)
     classes = counts.join(joined.select(F.col("v").alias("node"), "component"), "node", "left").select("node", "texts", "documents", F.coalesce("component", "node").alias("component"))
