@@ -2,17 +2,22 @@
 
 A text's histograms over character classes and over common words are compared with those of its
 language by Jensen-Shannon distance (base 2, 0 to 1).  The references are gathered from all documents of
-the table, by language; a language outside the fixed lists, or none, is compared with all documents.
+the table, by language (`de-AT` counts as `de`).  A text without a language is held against the reference of
+each language and rejected only if it is far from all of them; where the language whose common words it has
+most of has no reference of MIN_REFERENCE words, or the language given is outside the fixed lists, nothing
+says how its texts look, and the base rules alone decide.  The distances told are then those of the nearest
+reference, or of all documents if there is none.
 Histograms of short texts are noise, so a text is judged by character classes only from MIN_CHARS
 classified characters and by common words only from MIN_WORDS words on.
 
-Edge cases: a null text has no words; it fails the base rules, as all texts under 50 words do; a null or
-unknown language uses the common reference; repeated rows give repeated results; an empty table gives no
+Edge cases: a null text has no words; it fails the base rules, as all texts under 50 words do; an empty
+language is none; repeated rows give repeated results; an empty table gives no
 rows and needs no reference; `filtered_documents` keeps the table's columns.
 """
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -55,6 +60,8 @@ _SYMBOL[list(b"#*$%&|<>")] = True
 
 MIN_WORDS, MAX_REPEAT = 50, 50
 MIN_CHARS = 200
+#: a reference of fewer words doesn't judge texts that lack a language
+MIN_REFERENCE = 1000
 MAX_CLASS_DISTANCE, MAX_WORD_DISTANCE = 0.30, 0.37
 
 FIGURES = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, class_distance double, word_distance double, kept boolean"
@@ -103,8 +110,13 @@ class References:
     common: dict[str, np.ndarray]
 
 
+def _labels(batch: pa.RecordBatch) -> list[str]:
+    """The language given with each document, without its region; empty if there is none."""
+    return [re.split("[-_]", (x or "").strip().lower())[0] for x in batch.column(batch.schema.get_field_index("lang")).to_pylist()]
+
+
 def _languages(batch: pa.RecordBatch) -> list[str]:
-    return [x if x in COMMON else "" for x in batch.column(batch.schema.get_field_index("lang")).to_pylist()]
+    return [x if x in COMMON else "" for x in _labels(batch)]
 
 
 def references(documents: DataFrame) -> References:
@@ -169,25 +181,48 @@ def base_figures(column: pa.Array) -> dict[str, np.ndarray]:
     return out
 
 
+def _compared(classes: np.ndarray, common: np.ndarray, known: References, lang: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Class distance and word distance of each row from a language's reference, and whether it is far from it."""
+    own = common.copy()
+    if lang:
+        foreign = [i for i, w in enumerate(_WORDS) if w not in COMMON[lang]]
+        own[:, -1] += own[:, foreign].sum(axis=1)
+        own[:, foreign] = 0
+    by_class, by_word = distance(classes, known.classes[lang]), distance(own, known.common[lang])
+    far = (classes.sum(axis=1) >= MIN_CHARS) & (by_class > MAX_CLASS_DISTANCE)
+    far |= (common.sum(axis=1) >= MIN_WORDS) & (by_word > MAX_WORD_DISTANCE)
+    return by_class, by_word, far
+
+
+def _nearest(classes: np.ndarray, common: np.ndarray, known: References) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """As `_compared`, for texts of any language: from the nearest reference; far only if far from all that could tell."""
+    present = [x for x in COMMON if known.common[x].sum() >= MIN_REFERENCE]
+    if not present:
+        by_class, by_word, far = _compared(classes, common, known, "")
+        return by_class, by_word, np.zeros_like(far)
+    told = [_compared(classes, common, known, x) for x in present]
+    by_class, by_word, far = (np.stack(x) for x in zip(*told))
+    best = np.argmin(by_word + 2 * far, axis=0), np.arange(len(classes))
+    # the language that most of the common words are from
+    covered = np.stack([common[:, [i for i, w in enumerate(_WORDS) if w in COMMON[x]]].sum(axis=1) for x in COMMON])
+    most = covered.max(axis=0)
+    absent = np.array([x not in present for x in COMMON])[:, None] & (covered == most) & (most > 0)
+    return by_class[best], by_word[best], far.all(axis=0) & ~absent.any(axis=0)
+
+
 def verdicts(part: pa.RecordBatch, known: References) -> dict[str, np.ndarray]:
     column = text_column(part)
     out = base_figures(column)
     buf, offsets = text_buffer(column)
     classes, common = histograms(buf, offsets)
-    langs = np.array(_languages(part))
+    labels, langs = np.array(_labels(part), dtype=object), np.array(_languages(part), dtype=object)
     out["class_distance"], out["word_distance"] = np.zeros(len(langs)), np.zeros(len(langs))
+    strange = np.zeros(len(langs), dtype=bool)
     for lang in set(langs.tolist()):
         rows = langs == lang
-        own = common[rows]
-        if lang:
-            foreign = [i for i, w in enumerate(_WORDS) if w not in COMMON[lang]]
-            own[:, -1] += own[:, foreign].sum(axis=1)
-            own[:, foreign] = 0
-        out["class_distance"][rows] = distance(classes[rows], known.classes[lang])
-        out["word_distance"][rows] = distance(own, known.common[lang])
-    judged = classes.sum(axis=1) >= MIN_CHARS
-    strange = judged & (out["class_distance"] > MAX_CLASS_DISTANCE)
-    strange |= (common.sum(axis=1) >= MIN_WORDS) & (out["word_distance"] > MAX_WORD_DISTANCE)
+        told = _compared(classes[rows], common[rows], known, lang) if lang else _nearest(classes[rows], common[rows], known)
+        out["class_distance"][rows], out["word_distance"][rows], strange[rows] = told
+    strange &= (langs != "") | (labels == "")
     out["kept"] = ~out["base_failed"] & ~strange
     return out
 

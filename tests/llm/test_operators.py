@@ -441,6 +441,36 @@ def test_quality_figures(spark, rows, empty):
     assert quality.quality_figures(empty).count() == 0 and quality.filtered_documents(empty).count() == 0
 
 
+def written(draw, lang, n=150):
+    """A text as its language has it: about half common words, the frequent ones more often."""
+    common = quality.COMMON[lang]
+    share = [1 / (i + 2) for i in range(len(common))]
+    word = lambda: draw.choices(common, share)[0] if draw.random() < 0.5 else "".join(draw.choices("abcdefghilmnorstu", k=draw.randint(3, 9)))
+    return " ".join(word() for _ in range(n)).capitalize() + "."
+
+
+def test_quality_of_texts_without_a_listed_language(spark):
+    draw = random.Random(12)
+    rows = [(i, written(draw, "en"), "en", "s", 0) for i in range(300)]  # most of the table
+    for lang in ("de", "fr", "es"):
+        rows += [(len(rows) + i, written(draw, lang), lang, "s", 0) for i in range(20)]
+    clean = [(1000 + 10 * i + j, written(draw, x), given, "s", 0) for i, x in enumerate(quality.COMMON) for j, given in enumerate([None, "", "it", f"{x.upper()}-XX"])]
+    chinese = "".join(draw.choices("的一是在不了有和人这中大为上个国我以要他", k=400))
+    foreign = [(2000, " ".join(chinese[i : i + 3] for i in range(0, 300, 3)), "zh", "s", 0)]
+    junk = [(2100 + i, " ".join("".join(draw.choices("#*$%0123456789", k=7)) for _ in range(120)), x, "s", 0) for i, x in enumerate([None, "en", "en-GB"])]
+
+    def kept(some):
+        return {r["doc_id"]: r["kept"] for r in quality.quality_figures(spark.createDataFrame(some, SCHEMA)).collect()}
+
+    told = kept(rows + clean + foreign + junk)
+    assert all(told[r[0]] for r in clean + foreign)
+    assert not any(told[r[0]] for r in junk)
+    # a language without a reference is judged by the base rules alone, and so is all if there is no reference
+    told = kept([r for r in rows if r[2] == "en"] + [r for r in clean if r[2] is None])
+    assert all(told[r[0]] for r in clean if r[2] is None)
+    assert all(kept([r for r in clean if r[2] is None]).values())
+
+
 def test_jensen_shannon():
     p = np.array([[1, 0], [1, 1], [0, 0]])
     assert quality.distance(p, np.array([0, 5]))[0] == pytest.approx(1.0)
