@@ -3,7 +3,9 @@
 `source_targets` shares the size of all sources by weight, each at most `most` times its own size and
 the excess reshared.  `schedule` maps the points of a golden-ratio sequence through the cumulative
 targets: slot by slot, each names a source and takes the next of its blocks of `block` words, whose rank
-in the source is the slot's number among the source's slots.  `shuffled_stream` puts a source's documents in hash
+in the source is the slot's number among the source's slots.  A source whose target is under FINE blocks
+is dealt more exactly than whole blocks allow: its slots share round(target) words evenly, and if it draws
+none, it shares a slot with another source.  `shuffled_stream` puts a source's documents in hash
 order and gives each the words it covers in the source's endless stream (the source over and over).
 `Mix` joins the two on (source, block rank) and returns the words of each document that each slot takes.
 
@@ -28,6 +30,8 @@ WEIGHTS = (5, 2, 1)
 GOLDEN, UNIT = 1327217885, 1 << 31
 BUCKETS, CELLS, RUN = 4096, 4096, 1 << 14
 SLOTS, LARGEST_BLOCK = 1 << 16, 4096
+#: a source draws a few slots more or less than its share; from this many blocks on, that is about a hundredth
+FINE = 512
 
 
 def sized(documents: DataFrame) -> DataFrame:
@@ -65,9 +69,12 @@ def source_targets(sizes: DataFrame, weights=WEIGHTS, most: int = 3) -> DataFram
 def schedule(targets: DataFrame, slots: int, block: int, most: int = 3) -> DataFrame:
     """source, rank, slot: the source that each slot takes from, and the slot's number among that source's slots.
 
+    Slot number `rank` of a source ends before word (rank + 1) * words div parts of the source's endless
+    stream and begins where the one before ends; the last one ends at `top`, `most` times the source's size, at most.
+
     A source owns a stretch of [0, 1) as long as its share.  Points and stretches meet in an equality join
     on one of CELLS equal cells; ranks are sums by runs of slots plus a running number inside each run.
-    A slot that would take its source beyond `most` times its size is left out.
+    A slot that would begin beyond `top` is left out.
     """
     spark = targets.sparkSession
     ordered = Window.orderBy(F.col("source").isNull(), "source").rowsBetween(Window.unboundedPreceding, 0)
@@ -75,17 +82,32 @@ def schedule(targets: DataFrame, slots: int, block: int, most: int = 3) -> DataF
     stretches = targets.where("target > 0").select(
         "source", "source_size", "target", F.sum("target").over(ordered).alias("upto"), F.sum("target").over(everything).alias("whole")
     )
-    stretches = stretches.select("source", "source_size", ((F.col("upto") - F.col("target")) / F.col("whole")).alias("low"), F.when(F.col("upto") >= F.max("upto").over(everything), 1.0).otherwise(F.col("upto") / F.col("whole")).alias("high"))
+    top, fine = F.col("source_size") * most, F.col("target") < FINE * block
+    quota = F.when(fine, F.least(F.round("target").cast("long"), top))
+    stretches = stretches.select("source", top.alias("top"), quota.alias("quota"), ((F.col("upto") - F.col("target")) / F.col("whole")).alias("low"), F.when(F.col("upto") >= F.max("upto").over(everything), 1.0).otherwise(F.col("upto") / F.col("whole")).alias("high"))
     in_cell = stretches.withColumn("cell", F.explode(F.sequence(F.floor(F.col("low") * CELLS), F.least(F.floor(F.col("high") * CELLS), F.lit(CELLS - 1)))))
     points = spark.range(slots).select(F.col("id").alias("slot"), ((F.col("id") % UNIT * GOLDEN) % UNIT / F.lit(float(UNIT))).alias("point"))
     points = points.withColumn("cell", F.floor(F.col("point") * CELLS))
-    drawn = points.join(in_cell, "cell").where("low <= point and point < high").select("source", "source_size", "slot", F.expr(f"slot div {RUN}").alias("run"))
+    drawn = points.join(in_cell, "cell").where("low <= point and point < high").select("source", "top", "quota", "slot", F.expr(f"slot div {RUN}").alias("run"))
     upto = Window.partitionBy("source").orderBy("run").rowsBetween(Window.unboundedPreceding, -1)
-    runs = drawn.groupBy("source", "run").agg(F.count("*").alias("n")).select(F.col("source").alias("of"), F.col("run").alias("of_run"), F.coalesce(F.sum("n").over(upto), F.lit(0)).alias("before"))
+    runs = drawn.groupBy("source", "run").agg(F.count("*").alias("n")).select(
+        F.col("source").alias("of"), F.col("run").alias("of_run"), F.coalesce(F.sum("n").over(upto), F.lit(0)).alias("before"), F.sum("n").over(Window.partitionBy("source")).alias("own_slots")
+    )
     inside = F.row_number().over(Window.partitionBy("source", "run").orderBy("slot"))
     ranked = drawn.withColumn("inside", inside).join(runs, F.col("source").eqNullSafe(F.col("of")) & (F.col("run") == F.col("of_run")))
-    ranked = ranked.withColumn("rank", F.col("before") + F.col("inside") - 1)
-    return ranked.where((F.col("rank") + 1) * block <= F.col("source_size") * most).select("source", "rank", "slot")
+    ranked = ranked.select("source", (F.col("before") + F.col("inside") - 1).alias("rank"), "slot", "top", "quota", "own_slots")
+    # a source that drew no slot shares the one at its stretch's place
+    drew = runs.select("of").distinct()
+    missed = stretches.where("quota > 0").join(drew, F.col("source").eqNullSafe(F.col("of")), "left_anti")
+    ranked = ranked.unionByName(missed.select("source", F.lit(0).cast("long").alias("rank"), F.floor(F.col("low") * slots).alias("slot"), "top", "quota", F.lit(1).cast("long").alias("own_slots")))
+    ranked = ranked.withColumn("words", F.coalesce("quota", F.lit(block).cast("long"))).withColumn("parts", F.when(F.col("quota").isNull(), 1).otherwise(F.col("own_slots")))
+    return ranked.where(F.col("quota").isNotNull() | (F.col("rank") * block < F.col("top"))).select("source", "rank", "slot", "words", "parts", "top")
+
+
+def paces(scheduled: DataFrame) -> DataFrame:
+    """of, words, parts, reach for each source of a schedule: how its stream is cut, and the words of it that all its slots take."""
+    upto = F.expr("(max(rank) + 1) * max(words) div max(parts)")
+    return scheduled.groupBy(F.col("source").alias("of")).agg(F.max("words").alias("words"), F.max("parts").alias("parts"), F.least(upto, F.max("top")).alias("reach")).where("reach > 0")
 
 
 def shuffled_stream(documents: DataFrame) -> DataFrame:
@@ -121,15 +143,17 @@ class Mix:
         A document that no slot takes from has one row with null slot.
         """
         stream = self.with_targets(shuffled_stream(self.slim)).withColumn("lap", F.explode(F.sequence(F.lit(0), F.lit(self.most - 1))))
+        stream = stream.join(paces(self.schedule), F.col("source").eqNullSafe(F.col("of")), "left").drop("of")
         begin = F.col("start") + F.col("lap") * F.col("source_size")
         stream = stream.withColumn("begin", begin).withColumn("upto", F.col("begin") + F.col("size"))
-        ranks = F.when(F.col("size") > 0, F.sequence(F.expr(f"begin div {self.block}"), F.expr(f"(upto - 1) div {self.block}")))
+        # the slot of word w: slots of a source that takes fewer words than slots may be empty
+        ranks = F.when((F.col("size") > 0) & (F.col("begin") < F.col("reach")), F.sequence(F.expr("((begin + 1) * parts - 1) div words"), F.expr("(least(upto, reach) * parts - 1) div words")))
         pieces = stream.withColumn("rank", F.explode_outer(ranks))
         taken = self.schedule.select(F.col("source").alias("of"), F.col("rank").alias("of_rank"), "slot")
         joined = pieces.join(taken, F.col("source").eqNullSafe(F.col("of")) & (F.col("rank") == F.col("of_rank")), "left")
-        low = F.greatest(F.col("begin"), F.col("rank") * self.block) - F.col("begin")
-        high = F.least(F.col("upto"), (F.col("rank") + 1) * self.block) - F.col("begin")
-        return joined.select("doc_id", "source", "bucket", "place", "size", "source_size", "target", "lap", "slot", F.when(F.col("slot").isNotNull(), low).alias("from_word"), F.when(F.col("slot").isNotNull(), high).alias("to_word"))
+        low = F.greatest(F.col("begin"), F.expr("rank * words div parts")) - F.col("begin")
+        high = F.least(F.col("upto"), F.expr("(rank + 1) * words div parts")) - F.col("begin")
+        return joined.where(F.col("slot").isNull() | (low < high)).select("doc_id", "source", "bucket", "place", "size", "source_size", "target", "lap", "slot", F.when(F.col("slot").isNotNull(), low).alias("from_word"), F.when(F.col("slot").isNotNull(), high).alias("to_word"))
 
     def taken(self) -> DataFrame:
         """One row for each document: the words that the mix takes from it, repeats counted."""
@@ -147,12 +171,12 @@ def slim_sizes(documents: DataFrame) -> DataFrame:
 def mixed_documents(documents: DataFrame, weights=WEIGHTS, most: int = 3) -> DataFrame:
     """The mixed corpus with the columns of `documents`: a row for each time that the schedule takes a document.
 
-    All slots of a source together take the words from 0 up to slots x block of its endless stream, so each
+    All slots of a source together take the words from 0 up to `reach` of its endless stream, so each
     lap over the source takes whole documents, and the last one ends inside one document, of which it takes
     the first words, joined by single spaces; n_chars follows.  Texts are shuffled once.
     """
     mix = Mix(slim_sizes(documents), weights, most)
-    reach = mix.schedule.groupBy("source").agg((F.count("*") * mix.block).alias("reach")).withColumnRenamed("source", "reach_of")
+    reach = paces(mix.schedule).select(F.col("of").alias("reach_of"), "reach")
     sources = mix.targets.select("source", "source_size").join(reach, F.col("source").eqNullSafe(F.col("reach_of"))).drop("source")
     stream = shuffled_stream(sized(documents))
     laps = stream.join(sources, F.col("source").eqNullSafe(F.col("reach_of"))).withColumn("lap", F.explode(F.sequence(F.lit(0), F.lit(most - 1))))

@@ -370,6 +370,37 @@ def test_mix(docs, rows, empty):
     assert mixing.mixed_documents(empty).count() == 0
 
 
+def test_small_sources_get_their_targets(spark, monkeypatch):
+    sizes = {"a": 60_000_000, "b": 40_000_000, "c": 300, None: 7, "e": 2_000, "f": 40_003, "g": 1, "h": 500_000}
+    slim = spark.range(8 * 20).select("id", F.element_at(F.array(*map(F.lit, sizes)), (F.col("id") % 8 + 1).cast("int")).alias("source"), F.expr("id div 8").alias("nth"))
+    parts = F.element_at(F.array(*map(F.lit, sizes.values())), (F.col("id") % 8 + 1).cast("int"))
+    slim = slim.select(F.col("id").alias("doc_id"), "source", F.expr("0L").alias("size"), "nth", parts.alias("words"))
+    slim = slim.withColumn("size", F.expr("words div 20 + case when nth = 0 then words % 20 else 0 end").cast("long")).select("doc_id", "source", "size")
+    mix = mixing.Mix(slim)
+    assert mix.block > 1000
+    told = mix.taken().join(slim.select(F.col("doc_id").alias("of"), "source"), F.col("of") == F.col("doc_id")).collect()
+    assert len(told) == 160 and all(0 <= r["taken"] <= 3 * r["size"] for r in told)
+    taken, target = Counter(), {}
+    for r in told:
+        taken[r["source"]] += r["taken"]
+        target[r["source"]] = r["target"]
+    assert target["c"] == 900 and target["g"] == 3
+    for source, wanted in target.items():
+        assert abs(taken[source] - wanted) <= 0.02 * wanted, source
+
+    monkeypatch.setattr(mixing, "SLOTS", 16)
+    texts = [(i, "x " * n, s, s, 0) for i, (n, s) in enumerate([(3000, "a"), (2500, "b"), (30, "c"), (12, "c"), (5, None), (0, "d"), (200, "e")])]
+    frame = spark.createDataFrame(texts, SCHEMA)
+    whole = Counter()
+    for r in mixing.mixed_documents(frame).collect():
+        whole[r["source"]] += len(WORD.findall(r["text"]))
+    few = mixing.Mix(mixing.slim_sizes(frame))
+    targets = {r["source"]: r["target"] for r in few.targets.collect()}
+    assert few.block > 300 and targets["c"] == 126 and targets[None] == 15
+    assert all(abs(whole[s] - t) <= 0.5 for s, t in targets.items())
+    assert sum(r["taken"] for r in few.taken().collect()) == sum(whole.values())
+
+
 def test_schedule_is_even(spark):
     """In any stretch of slots each source has its share, give or take a few."""
     targets = spark.createDataFrame([("a", 10**6, 5.0, 500.0), ("b", 10**6, 2.0, 300.0), (None, 10**6, 1.0, 200.0)], "source string, source_size long, weight double, target double")
