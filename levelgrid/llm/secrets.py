@@ -6,7 +6,7 @@ is fitted by Spark's own trainer on labelled findings: TRAINING_ROWS rows made f
 seeded generator, the only bound on a sample here; then its trees become CASE expressions.
 
 Features: length, shares of digits and capitals, changes between character classes, distinct characters,
-share covered by dictionary words, path signs in and around the candidate, words before it that name a
+share covered by dictionary words, shares of vowels and of long runs of consonants, path signs in and around the candidate, words before it that name a
 secret or something harmless, an assignment right before it, and the prefix of a known key form.
 
 Edge cases: a null text has no candidate and stays null; an empty text stays empty; repeated candidates
@@ -28,12 +28,15 @@ from .common import text_or_empty
 
 MASK = "[SECRET]"
 TRAINING_ROWS, TREES, DEPTH, SEED = 4000, 15, 6, 11
-#: a run of 12 or more key characters with a digit in its first part, or a known prefix
-CANDIDATE = r"(?<![A-Za-z0-9_+/-])(?=[A-Za-z_+/-]{0,40}[0-9]|AKIA)[A-Za-z0-9_+/-]{12,}+={0,2}"
 #: fixed values
 NAMES_SECRET = r"(?i)(?:token|secret|passw|pwd|api.?key|access.?key|credential|bearer|private.?key|auth)"
 NAMES_HARMLESS = r"(?i)(?:commit|sha\d|md5|hash|checksum|digest|uuid|guid|version|isbn|example|sample|dummy|order|invoice|phone|card|account|number|build|image|rev)"
 KNOWN_FORM = r"^(?:AKIA|ASIA|ghp_|gho_|glpat-|sk-|sk_live|xox[abp]-|AIza|eyJ)"
+ASSIGNED = r"[=:][ ]{0,2}[\"'`]?"
+_NAMED = NAMES_SECRET.replace("(?i)(?:", "(?i:") + r"[^\n]{0,16}"
+_TELLING = r"[A-Za-z_+/-]*+[0-9]", r"(?=[A-Z0-9_+/-]*+[a-z])[a-z0-9_+/-]*+[A-Z]", KNOWN_FORM[1:]
+#: a run of 12 or more key characters with a digit, small and capital letters or a known prefix, or after an assignment or a name of a secret
+CANDIDATE = rf"(?<![A-Za-z0-9_+/-])(?=[A-Za-z0-9_+/-]{{12}})(?:(?={'|'.join(_TELLING)})|(?<={ASSIGNED})|(?<={_NAMED}))[A-Za-z0-9_+/-]{{12,}}+={{0,2}}"
 DICTIONARY = (
     "about access account after again also api article block book build call change check class code come commit company config content count "
     "country data date document download edition error example file final find first form from github group have here hello home host html http "
@@ -42,7 +45,7 @@ DICTIONARY = (
     "result sample search secret section server service setting site source start state string study system table template test text that their there "
     "they this time title token update upload user value version video view water week with word work world year your"
 ).split()
-FEATURES = ("length", "digits", "capitals", "changes", "distinct", "dictionary", "paths", "names_secret", "names_harmless", "assigned", "known_form", "all_digits", "hexadecimal")
+FEATURES = ("length", "digits", "capitals", "changes", "distinct", "dictionary", "paths", "names_secret", "names_harmless", "assigned", "known_form", "all_digits", "hexadecimal", "vowels", "hard")
 _LOADED: dict[tuple, list] = {}
 
 
@@ -64,14 +67,23 @@ def features(candidate: Column, left: Column, right: Column) -> Column:
         "paths": count("[/]") + has(near, r"[/\\.@]$") + has(after, r"^[.@/\\][A-Za-z0-9]"),
         "names_secret": has(near, NAMES_SECRET),
         "names_harmless": has(near, NAMES_HARMLESS),
-        "assigned": has(near, r"[=:][ ]{0,2}[\"'`]?$"),
+        "assigned": has(near, ASSIGNED + "$"),
         "known_form": has(candidate, KNOWN_FORM),
         "all_digits": has(candidate, r"^[0-9_-]+$"),
         "hexadecimal": has(candidate, r"^[0-9a-f]+$"),
+        "vowels": count("[AEIOUYaeiouy]") / n,
+        "hard": 1 - F.char_length(F.regexp_replace(candidate, "(?i)[b-df-hj-np-tv-xz]{4,}", "")) / n,
     }
     return F.struct(*(values[x].alias(x) for x in FEATURES))
 
 
+def is_candidate(left: str, candidate: str) -> bool:
+    """Whether CANDIDATE takes the run `candidate` behind the text `left`."""
+    if not re.fullmatch(r"[A-Za-z0-9_+/-]{12,}={0,2}", candidate):
+        return False
+    return bool(re.match("|".join(_TELLING), candidate) or re.search(f"(?:{ASSIGNED}|{_NAMED})$", left))
+
+
 def labelled_findings(rows: int = TRAINING_ROWS, seed: int = SEED) -> list[tuple[str, str, str, int]]:
     """(left, candidate, right, label): secrets, and what looks like them, from fixed forms."""
     draw = random.Random(seed)
@@ -79,13 +91,16 @@ def labelled_findings(rows: int = TRAINING_ROWS, seed: int = SEED) -> list[tuple
     hexadecimal, mixed, capital = "0123456789abcdef", string.ascii_letters + string.digits, string.ascii_uppercase + string.digits
     prose = lambda: " ".join(run(string.ascii_lowercase, draw.randint(2, 9)) for _ in range(draw.randint(0, 5)))
     word = lambda: draw.choice(DICTIONARY)
+    syllable = lambda: draw.choice("b c d f g l m n p r s t v br ch cl pr st tr th qu".split()) + draw.choice("a e i o u ea io".split()) + draw.choice(["", "", "n", "r", "s", "l", "t", "nt", "st", "ck"])
+    spoken = lambda: "".join(syllable() for _ in range(draw.randint(4, 7)))
+    drawn = lambda: draw.choice([word(), spoken()[: draw.randint(4, 9)]])
 
     def named() -> str:
         name = draw.choice(["token", "secret", "password", "passwd", "api_key", "apikey", "access_key", "auth_token", "client_secret", "private_key", "credential", "Token", "SECRET"])
         return f"{prose()} {name}{draw.choice([' = ', '=', ': ', ':', ' := ', ' '])}{draw.choice(['', chr(34), chr(39)])}"
 
     def secret() -> tuple[str, str]:
-        form = draw.randrange(7)
+        form = draw.randrange(8)
         if form == 0:
             return named(), run(hexadecimal, draw.choice([16, 18, 20, 24, 32, 40, 64]))
         if form == 1:
@@ -98,10 +113,13 @@ def labelled_findings(rows: int = TRAINING_ROWS, seed: int = SEED) -> list[tuple
             return named(), run(mixed + "_-", draw.randint(12, 24))
         if form == 5:
             return f"{prose()} Authorization: Bearer ", run(mixed + "_-", draw.randint(24, 64))
+        if form == 6:  # no digit, or a late one
+            letters = draw.choice([string.ascii_letters] * 3 + [string.ascii_lowercase, string.ascii_uppercase])
+            return named(), run(letters, draw.randint(12, 48)) + draw.choice(["", run(string.digits, draw.randint(1, 3))])
         return prose() + " ", run(mixed, draw.randint(32, 44))
 
     def harmless() -> tuple[str, str]:
-        form = draw.randrange(11)
+        form = draw.randrange(14)
         if form == 0:
             return prose() + " ", run(string.digits, draw.choice([12, 13, 14, 15, 16, 16, 16, 18, 20]))
         if form == 1:
@@ -122,6 +140,12 @@ def labelled_findings(rows: int = TRAINING_ROWS, seed: int = SEED) -> list[tuple
             return prose() + draw.choice([" +", " phone ", " "]), f"{draw.randint(1, 99)}-{run(string.digits, 3)}-{run(string.digits, 3)}-{run(string.digits, 4)}"
         if form == 9:
             return prose() + " base64,", run(mixed + "+/", draw.randint(200, 600))
+        if form == 10:  # words after a colon or a name
+            return draw.choice([named(), f"{prose()} {word()}{draw.choice([': ', ' = ', '=', ':'])}"]), draw.choice([spoken(), f"{drawn()}{draw.choice('_-')}{drawn()}", f"{word()}_{word()}_{word()}", f"{word()}/{word()}"])
+        if form == 11:  # words with capitals
+            return draw.choice([prose() + " ", prose() + ". ", named()]), draw.choice([spoken().capitalize(), f"{drawn().capitalize()}-{drawn().capitalize()}", spoken().capitalize() + "-" + drawn()])
+        if form == 12:  # names in programs
+            return draw.choice([prose() + " ", f"{prose()} {word()} = ", named(), f"{named()}{spoken()[:8]}; "]), draw.choice([drawn(), drawn().capitalize()]) + "".join(draw.choice([drawn(), drawn(), syllable()]).capitalize() for _ in range(draw.randint(1, 4)))
         return prose() + " ", run(string.ascii_lowercase, draw.randint(8, 20)) + run(string.digits, draw.randint(1, 3)) + run(string.ascii_lowercase, draw.randint(0, 8)) + run("abcdefgh", 4)
 
     out = []
@@ -129,7 +153,7 @@ def labelled_findings(rows: int = TRAINING_ROWS, seed: int = SEED) -> list[tuple
         label = len(out) % 2
         left, candidate = secret() if label else harmless()
         right = draw.choice([" ", '"', ". ", "' ", "\n"]) + prose()
-        if re.fullmatch(r"(?=[A-Za-z_+/-]{0,40}[0-9]|AKIA)[A-Za-z0-9_+/-]{12,}={0,2}", candidate):
+        if is_candidate(left, candidate):
             out.append((left, candidate, right, label))
     return out
 

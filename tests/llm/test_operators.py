@@ -274,6 +274,29 @@ def test_secret_scan(spark, docs, rows):
     assert sorted((r["doc_id"], r["text"] or "") for r in clean.collect()) == sorted((r[0], r[1] or "") for r in rows)
 
 
+def test_secrets_without_an_early_digit(spark):
+    draw = random.Random(21)
+    letters = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz"
+    run = lambda k: "".join(draw.choices(letters, k=k))
+    made = [(i, f'the {name} = "{run(k)}{tail}" after') for i, (name, k, tail) in enumerate((n, k, t) for n in ("password", "api_key", "token") for k in (12, 16, 20, 28, 44) for t in ("", "7"))]
+    made.append((90, 'password = "QwErTyAbCdEfGhIjKlMn"'))
+    words = "Internationally, the Well-Established counter-revolutionary responsibilities. Note: internationalization and Authorization: required; getElementById = documentElement, password: requirements, secret=configuration"
+    made.append((91, words))
+    told = {r["doc_id"]: r for r in secrets.secret_report(spark.createDataFrame(made, "doc_id long, text string")).collect()}
+    assert all(told[i]["n_candidates"] == 1 for i, _ in made[:-1])
+    assert sum(told[i]["n_secrets"] for i, _ in made[:-2]) >= 29 and told[90]["redacted"] == 'password = "[SECRET]"'
+    assert told[91]["n_candidates"] >= 6 and told[91]["redacted"] == words
+
+
+def test_candidates_are_one_notion(spark):
+    """The training filter and the pattern take the same runs."""
+    made = [(left, c, secrets.is_candidate(left, c)) for left in ("a ", "token is ", "x = ", 'pwd: "', "") for c in ("abcdefghijkl", "ABCDEFGHIJKLM", "abcdefGhijkl", "a" * 60 + "1", "AKIAABCDEFGHIJKL", "short1", "one/two-three")]
+    frame = spark.createDataFrame(made, "left string, candidate string, taken boolean")
+    told = frame.select("taken", F.regexp_extract_all(F.concat("left", "candidate"), F.lit(f"({secrets.CANDIDATE})")).alias("found"), "candidate").collect()
+    assert all((r["candidate"] in r["found"]) == r["taken"] for r in told)
+    assert {r["taken"] for r in told} == {True, False}
+
+
 def test_secret_scan_is_native(empty):
     plan = secrets.secret_report(empty)._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Pandas|Arrow|Exchange", plan)
