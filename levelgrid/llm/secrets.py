@@ -7,7 +7,8 @@ seeded generator, the only bound on a sample here; then its trees become CASE ex
 
 Features: length, shares of digits and capitals, changes between character classes, distinct characters,
 share covered by dictionary words, shares of vowels and of long runs of consonants, path signs in and around the candidate, words before it that name a
-secret or something harmless, an assignment right before it, and the prefix of a known key form.
+secret or something harmless, an assignment right before it or to it, a line of the same kind before it, and
+the prefix of a known key form.  The text around a candidate includes its neighbours among the candidates.
 
 Edge cases: a null text has no candidate and stays null; an empty text stays empty; repeated candidates
 are found and judged each time; other columns are kept by `redacted_documents`; repeated rows give
@@ -35,8 +36,8 @@ KNOWN_FORM = r"^(?:AKIA|ASIA|ghp_|gho_|glpat-|sk-|sk_live|xox[abp]-|AIza|eyJ)"
 ASSIGNED = r"[=:][ ]{0,2}[\"'`]?"
 _NAMED = NAMES_SECRET.replace("(?i)(?:", "(?i:") + r"[^\n]{0,16}"
 _TELLING = r"[A-Za-z_+/-]*+[0-9]", r"(?=[A-Z0-9_+/-]*+[a-z])[a-z0-9_+/-]*+[A-Z]", KNOWN_FORM[1:]
-#: a run of 12 or more key characters with a digit, small and capital letters or a known prefix, or after an assignment or a name of a secret
-CANDIDATE = rf"(?<![A-Za-z0-9_+/-])(?=[A-Za-z0-9_+/-]{{12}})(?:(?={'|'.join(_TELLING)})|(?<={ASSIGNED})|(?<={_NAMED}))[A-Za-z0-9_+/-]{{12,}}+={{0,2}}"
+#: a run of 12 or more key characters with a digit, small and capital letters or a known prefix, or after an assignment or a name of a secret; with its padding, but not with the = of an assignment to it
+CANDIDATE = rf"(?<![A-Za-z0-9_+/-])(?=[A-Za-z0-9_+/-]{{12}})(?:(?={'|'.join(_TELLING)})|(?<={ASSIGNED})|(?<={_NAMED}))[A-Za-z0-9_+/-]{{12,}}+(?:={{1,2}}(?!=|[\"'`]?[A-Za-z0-9_+/-]))?"
 DICTIONARY = (
     "about access account after again also api article block book build call change check class code come commit company config content count "
     "country data date document download edition error example file final find first form from github group have here hello home host html http "
@@ -45,7 +46,7 @@ DICTIONARY = (
     "result sample search secret section server service setting site source start state string study system table template test text that their there "
     "they this time title token update upload user value version video view water week with word work world year your"
 ).split()
-FEATURES = ("length", "digits", "capitals", "changes", "distinct", "dictionary", "paths", "names_secret", "names_harmless", "assigned", "known_form", "all_digits", "hexadecimal", "vowels", "hard")
+FEATURES = ("length", "digits", "capitals", "changes", "distinct", "dictionary", "paths", "names_secret", "names_harmless", "assigned", "known_form", "all_digits", "hexadecimal", "vowels", "hard", "assigns", "next_line")
 _LOADED: dict[tuple, list] = {}
 
 
@@ -71,6 +72,8 @@ def features(candidate: Column, left: Column, right: Column) -> Column:
         "known_form": has(candidate, KNOWN_FORM),
         "all_digits": has(candidate, r"^[0-9_-]+$"),
         "hexadecimal": has(candidate, r"^[0-9a-f]+$"),
+        "assigns": has(after, r"^[\"'`]?[ ]{0,2}(?:[+:?]?=|:)"),
+        "next_line": has(near, r"[A-Za-z0-9_+/-]{20}\r?\n[ \t]{0,8}$"),
         "vowels": count("[AEIOUYaeiouy]") / n,
         "hard": 1 - F.char_length(F.regexp_replace(candidate, "(?i)[b-df-hj-np-tv-xz]{4,}", "")) / n,
     }
@@ -99,8 +102,12 @@ def labelled_findings(rows: int = TRAINING_ROWS, seed: int = SEED) -> list[tuple
         name = draw.choice(["token", "secret", "password", "passwd", "api_key", "apikey", "access_key", "auth_token", "client_secret", "private_key", "credential", "Token", "SECRET"])
         return f"{prose()} {name}{draw.choice([' = ', '=', ': ', ':', ' := ', ' '])}{draw.choice(['', chr(34), chr(39)])}"
 
+    def setting() -> str:
+        name = [draw.choice(["oauth2", "s3", "aws", "app1", "db2", "x509", "gcp", "prod3", "my"]), *draw.sample(["client", "access", "user", "api", "v2", "main"], draw.randint(0, 2)), draw.choice(["secret", "token", "api_key", "password", "secret_access_key", "private_key"])]
+        return draw.choice([str.upper, str.lower])(draw.choice("__-").join(name))
+
     def secret() -> tuple[str, str]:
-        form = draw.randrange(8)
+        form = draw.randrange(10)
         if form == 0:
             return named(), run(hexadecimal, draw.choice([16, 18, 20, 24, 32, 40, 64]))
         if form == 1:
@@ -116,10 +123,14 @@ def labelled_findings(rows: int = TRAINING_ROWS, seed: int = SEED) -> list[tuple
         if form == 6:  # no digit, or a late one
             letters = draw.choice([string.ascii_letters] * 3 + [string.ascii_lowercase, string.ascii_uppercase])
             return named(), run(letters, draw.randint(12, 48)) + draw.choice(["", run(string.digits, draw.randint(1, 3))])
+        if form == 7:  # lines of a key
+            return draw.choice(["BEGIN RSA PRIVATE KEY-----\n", "-----BEGIN PRIVATE KEY-----\n", *[run(mixed + "+/", 40) + "\n"] * 3]), run(mixed + "+/", draw.choice([64, 64, 64, draw.randint(12, 63)])) + draw.choice(["", "", "="])
+        if form == 8:  # behind a name that is a candidate, or another secret
+            return draw.choice([setting() + draw.choice(["=", "=\"", ": ", "\": \"", " = "]), f"{run(mixed, 14)} {named()}", f"{run(hexadecimal, 20)}\n{named()}"]), run(draw.choice([hexadecimal, mixed]), draw.choice([16, 20, 24, 32, 40]))
         return prose() + " ", run(mixed, draw.randint(32, 44))
 
     def harmless() -> tuple[str, str]:
-        form = draw.randrange(14)
+        form = draw.randrange(17)
         if form == 0:
             return prose() + " ", run(string.digits, draw.choice([12, 13, 14, 15, 16, 16, 16, 18, 20]))
         if form == 1:
@@ -144,6 +155,12 @@ def labelled_findings(rows: int = TRAINING_ROWS, seed: int = SEED) -> list[tuple
             return draw.choice([named(), f"{prose()} {word()}{draw.choice([': ', ' = ', '=', ':'])}"]), draw.choice([spoken(), f"{drawn()}{draw.choice('_-')}{drawn()}", f"{word()}_{word()}_{word()}", f"{word()}/{word()}"])
         if form == 11:  # words with capitals
             return draw.choice([prose() + " ", prose() + ". ", named()]), draw.choice([spoken().capitalize(), f"{drawn().capitalize()}-{drawn().capitalize()}", spoken().capitalize() + "-" + drawn()])
+        if form == 13:  # a name that is assigned to
+            return draw.choice([prose() + "\n", "\n", prose() + " ", f"{run(hexadecimal, 24)}\n", f"{{ \"", f"{named()}{run(mixed, 20)}\n"]), setting()
+        if form == 14:  # a hash or a number behind other candidates
+            return f"{draw.choice([run(mixed, 16), setting(), run(hexadecimal, 32)])}{draw.choice([' ', ', ', chr(10)])}{draw.choice(['commit ', 'sha256: ', 'md5=', 'checksum ', 'order ', 'card '])}", draw.choice([run(hexadecimal, draw.choice([32, 40, 64])), run(string.digits, 16)])
+        if form == 15:  # lines of an encoded file
+            return run(mixed + "+/", 40) + "\n", run(mixed + "+/", 76)
         if form == 12:  # names in programs
             return draw.choice([prose() + " ", f"{prose()} {word()} = ", named(), f"{named()}{spoken()[:8]}; "]), draw.choice([drawn(), drawn().capitalize()]) + "".join(draw.choice([drawn(), drawn(), syllable()]).capitalize() for _ in range(draw.randint(1, 4)))
         return prose() + " ", run(string.ascii_lowercase, draw.randint(8, 20)) + run(string.digits, draw.randint(1, 3)) + run(string.ascii_lowercase, draw.randint(0, 8)) + run("abcdefgh", 4)
@@ -153,6 +170,8 @@ def labelled_findings(rows: int = TRAINING_ROWS, seed: int = SEED) -> list[tuple
         label = len(out) % 2
         left, candidate = secret() if label else harmless()
         right = draw.choice([" ", '"', ". ", "' ", "\n"]) + prose()
+        if candidate.lower().endswith(("secret", "token", "key", "password")):
+            right = draw.choice(["=", " = ", ": ", "\": \"", ":", "=\""]) + run(hexadecimal, 20)
         if is_candidate(left, candidate):
             out.append((left, candidate, right, label))
     return out
@@ -208,10 +227,18 @@ def scanned(documents: DataFrame, threshold: float = 0.5) -> DataFrame:
     trees = forest(documents.sparkSession)
     text = text_or_empty()
     marked = documents.withColumn("candidates", F.regexp_extract_all(text, F.lit(f"({CANDIDATE})"))).withColumn("gaps", F.split(text, CANDIDATE, -1))
-    judged = F.transform(
+    # neighbours are text too: three candidates are longer than the text that features look at
+    around = lambda some, size: F.concat_ws("", *(F.right(F.get(x, i), F.lit(size)) if size == 32 else F.left(F.get(x, i), F.lit(size)) for x, i in some))
+    placed = F.transform(
         "candidates",
-        lambda c, i: F.struct(c.alias("candidate"), F.get("gaps", i).alias("before"), features(c, F.get("gaps", i), F.get("gaps", i + 1)).alias("values")),
+        lambda c, i: F.struct(
+            c.alias("candidate"),
+            F.get("gaps", i).alias("before"),
+            around([("candidates", i - 3), ("gaps", i - 2), ("candidates", i - 2), ("gaps", i - 1), ("candidates", i - 1), ("gaps", i)], 32).alias("left"),
+            around([("gaps", i + 1), ("candidates", i + 1)], 8).alias("right"),
+        ),
     )
+    judged = F.transform(placed, lambda x: F.struct(x["candidate"].alias("candidate"), x["before"].alias("before"), features(x["candidate"], x["left"], x["right"]).alias("values")))
     scored = F.transform(judged, lambda x: F.struct(x["candidate"].alias("candidate"), x["before"].alias("before"), forest_score(trees, x["values"]).alias("score")))
     findings = F.transform(scored, lambda x: F.struct(x["candidate"].alias("candidate"), x["before"].alias("before"), x["score"].alias("score"), (x["score"] > threshold).alias("secret")))
     return marked.withColumn("findings", findings).withColumn("rest", F.element_at("gaps", -1)).drop("candidates", "gaps")
