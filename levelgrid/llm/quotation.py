@@ -2,10 +2,12 @@
 
 A line's quote level is the number of leading `>` marks.  Neighbouring lines of one level are one passage
 (so rewrapped quotes read as the text they quote), passages are cut into sentences, and sentences are
-normalised (letters and digits, lower case) and hashed.  A quoted sentence is linked to the last earlier
+normalised (letters and digits, lower case) and hashed.  A passage as a whole and each of its lines are
+hashed as well: a quoted passage none of whose longer sentences is found is looked for as a whole, then by
+lines, and one that has short sentences only at last by these.  A quoted sentence is linked to the last earlier
 message of its conversation that has the sentence among its own; this is one ordered pass over each
 (conversation, sentence), not a join of all quoting with all quoted messages.  A message answers the
-message that most of its level-1 sentences link to, ties go to the later one; without such a link it
+message that most of its level-1 sentences (or what stands for them) link to, ties go to the later one; without such a link it
 answers the message before it.  Deeper levels are linked too and reported.  Depths in the reply tree come
 from pointer doubling; a conversation in reply order is ordered by (depth, turn), so that each message
 stands after the one it answers.
@@ -32,26 +34,46 @@ from .textkit import slices, text_column
 
 _MARKS = re.compile(r"^[ \t]{0,3}((?:>[ \t]?)+)")
 _INTRODUCTION = re.compile(r"(?:wrote|writes|said|schrieb|écrit|escribió)[ \t]?:\s*$", re.I)
-_SENTENCE = re.compile(r"(?<=[.!?])\s+")
+_SENTENCE = re.compile(r"(?<=[.!?])\s+|(?<=[。！？])\s*")
 _PLAIN = re.compile(r"[\W_]+")
-#: shorter sentences say too little to be linked
+#: shorter sentences are linked only where a quote has no longer one
 SHORTEST = 8
 
-PARSED = "conv_id long, turn long, role string, own string, levels int, said array<long>, quoted array<struct<level: int, sentence: long>>"
+PARSED = "conv_id long, turn long, role string, own string, levels int, said array<long>, quoted array<struct<level: int, sentence: long, passage: int, tier: int>>"
+LONG, WHOLE, LINE, SHORT = range(4)  # what a quoted passage is linked by: the first of them that is found
 
 
-def sentences(passage: str) -> list[int]:
+def _plain(part: str) -> str:
+    return _PLAIN.sub(" ", part.lower()).strip()
+
+
+def _hash(plain: str) -> int:
+    return xxhash.xxh64_intdigest(plain.encode()) - (1 << 63)
+
+
+def sentences(passage: str, shortest: int = SHORTEST) -> list[int]:
     """Hashes of a passage's normalised sentences."""
-    out = []
-    for part in _SENTENCE.split(passage):
-        plain = _PLAIN.sub(" ", part.lower()).strip()
-        if len(plain) >= SHORTEST:
-            out.append(xxhash.xxh64_intdigest(plain.encode()) - (1 << 63))
-    return out
+    return [_hash(x) for x in map(_plain, _SENTENCE.split(passage)) if len(x) >= shortest]
+
+
+def told_by(lines: list[str]) -> list[tuple[int, int]]:
+    """(tier, hash) of all that a quoted passage can be linked by."""
+    passage = " ".join(lines)
+    long = sentences(passage)
+    out = [(LONG, h) for h in long]
+    out += [(WHOLE, _hash(x)) for x in [_plain(passage)] if x]
+    out += [(LINE, _hash(x)) for x in map(_plain, lines) if len(x) >= (SHORTEST if long else 1)]
+    return out if long else out + [(SHORT, h) for h in sentences(passage, 1)]
 
 
 def parse(text: str) -> tuple[str, int, list[int], list[tuple[int, int]]]:
     """(own text, deepest level, own sentences, quoted (level, sentence) pairs) of a message."""
+    own, levels, said, quoted = read(text)
+    return own, levels, said, [(level, h) for level, h, _, tier in quoted if tier in (LONG, SHORT)]
+
+
+def read(text: str) -> tuple[str, int, list[int], list[tuple[int, int, int, int]]]:
+    """As `parse`, with own lines and passages among the sentences, and quoted (level, hash, passage, tier) rows."""
     lines = []
     for line in text.split("\n"):
         found = _MARKS.match(line)
@@ -68,8 +90,11 @@ def parse(text: str) -> tuple[str, int, list[int], list[tuple[int, int]]]:
             passages.append((level, [line]))
         else:
             passages.append((-1, []))
-    said = [h for level, x in passages if level == 0 for h in sentences(" ".join(x))]
-    quoted = [(level, h) for level, x in passages if level > 0 for h in sentences(" ".join(x))]
+    said = []
+    for x in [x for level, x in passages if level == 0]:
+        said += sentences(" ".join(x), 1) + [_hash(y) for y in map(_plain, [" ".join(x), *x]) if y]
+    said = list(dict.fromkeys(said))
+    quoted = [(level, h, i, tier) for i, (level, x) in enumerate(passages) if level > 0 for tier, h in told_by(x)]
     deepest = max((level for level, _ in lines), default=0)
     if not deepest:
         return text, 0, said, quoted
@@ -80,10 +105,10 @@ def parsed(messages: DataFrame) -> DataFrame:
     """Own text and sentences of each row of (conv_id, turn, role, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kind = pa.list_(pa.struct([("level", pa.int32()), ("sentence", pa.int64())]))
+        kind = pa.list_(pa.struct([("level", pa.int32()), ("sentence", pa.int64()), ("passage", pa.int32()), ("tier", pa.int32())]))
         for batch in batches:
             for part in slices(batch):
-                rows = [parse(t) for t in text_column(part).to_pylist()]
+                rows = [read(t) for t in text_column(part).to_pylist()]
                 yield pa.RecordBatch.from_arrays(
                     [
                         part.column(0).cast(pa.int64()),
@@ -92,7 +117,7 @@ def parsed(messages: DataFrame) -> DataFrame:
                         pa.array([r[0] for r in rows], pa.string()),
                         pa.array([r[1] for r in rows], pa.int32()),
                         pa.array([r[2] for r in rows], pa.list_(pa.int64())),
-                        pa.array([[{"level": a, "sentence": b} for a, b in r[3]] for r in rows], kind),
+                        pa.array([[dict(zip(("level", "sentence", "passage", "tier"), q)) for q in r[3]] for r in rows], kind),
                     ],
                     names=[x.split()[0] for x in ("conv_id", "turn", "role", "own", "levels", "said", "quoted")],
                 )
@@ -103,13 +128,16 @@ def parsed(messages: DataFrame) -> DataFrame:
 def links(told: DataFrame) -> DataFrame:
     """(conv_id, turn, level, origin, sentences): how many quoted sentences of a level come from which message."""
     told = told.where("conv_id is not null and turn is not null")
-    quoted = told.select("conv_id", "turn", F.explode("quoted").alias("q")).select("conv_id", "turn", "q.level", "q.sentence").distinct()
+    quoted = told.select("conv_id", "turn", F.explode("quoted").alias("q")).select("conv_id", "turn", "q.level", "q.sentence", "q.passage", "q.tier").distinct()
     wanted = quoted.select("conv_id", "sentence").distinct()
     said = told.select("conv_id", "turn", F.explode("said").alias("sentence")).distinct().join(wanted, ["conv_id", "sentence"], "left_semi")
     order = Window.partitionBy("conv_id", "sentence").orderBy("turn").rangeBetween(Window.unboundedPreceding, -1)
-    every = said.select("conv_id", "sentence", "turn", F.lit(0).alias("level")).unionByName(quoted)
+    every = said.select("conv_id", "sentence", "turn", F.lit(0).alias("level")).unionByName(quoted, allowMissingColumns=True)
     found = every.withColumn("origin", F.max(F.when(F.col("level") == 0, F.col("turn"))).over(order))
-    return found.where("level > 0 and origin is not null").groupBy("conv_id", "turn", "level", "origin").agg(F.count("*").alias("sentences"))
+    found = found.where("level > 0 and origin is not null")
+    first = F.min("tier").over(Window.partitionBy("conv_id", "turn", "passage"))
+    found = found.withColumn("first", first).where("tier = first")
+    return found.groupBy("conv_id", "turn", "level", "origin").agg(F.countDistinct("sentence").alias("sentences"))
 
 
 def depths(parents: DataFrame, most_rounds: int = 40) -> DataFrame:

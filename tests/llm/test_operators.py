@@ -372,6 +372,22 @@ def test_quotes_edge_cases(spark):
     assert quotation.conversations(quotation.reply_ordered(none)).count() == 0
 
 
+def test_short_quotes(spark):
+    rows = [
+        (1, 0, "No. Why?"), (1, 1, "Why? I see nothing of the kind."), (1, 2, "No."), (1, 3, "A message of its own."), (1, 4, "> No. Why?\nbecause of this"),
+        (2, 0, "Yes."), (2, 1, "Let us talk of other things."), (2, 2, "> Yes.\nfine then"), (2, 3, "Yes."), (2, 4, "And more words here."), (2, 5, "> Yes.\nfine again"),
+        (3, 0, "你好。我很好。"), (3, 1, "今天天气不错。"), (3, 2, "> 我很好。\n好"),
+        (4, 0, "milk and butter\nbread and cheese\nsalt"), (4, 1, "Anything else we need?"), (4, 2, "> bread and cheese\nwhich kind?"), (4, 3, "> salt\nnone left"),
+        (5, 0, "Yes. The long sentence is this one."), (5, 1, "Yes."), (5, 2, "> Yes. The long sentence is this one.\nright"), (5, 3, "> ?!\nnothing to link"),
+    ]
+    frame = spark.createDataFrame([(c, t, "u", x) for c, t, x in rows], "conv_id long, turn long, role string, text string").repartition(3)
+    told = {(r["conv_id"], r["turn"]): r for r in quotation.reply_ordered(frame).collect()}
+    wanted = {(1, 4): 0, (2, 2): 0, (2, 5): 3, (3, 2): 0, (4, 2): 0, (4, 3): 0, (5, 2): 0}
+    assert {k: (r["parent"]) for k, r in told.items() if r["linked"]} == wanted
+    assert told[5, 3]["parent"] == 2 and [tuple(x) for x in told[5, 2]["links"]] == [(1, 0, 1)]
+    assert told[2, 5]["depth"] == told[2, 3]["depth"] + 1 and told[1, 4]["depth"] == 1
+
+
 def test_parse_quotes():
     own, levels, said, quoted = quotation.parse("On Monday A wrote:\n> one two three four.\n>> five six seven eight.\n\nmine is this text")
     assert (own, levels) == ("mine is this text", 2)
