@@ -31,6 +31,16 @@ def settled(frame: DataFrame, rows: int | None = None) -> DataFrame:
     return frame.checkpoint(eager=True)
 
 
+def released(*frames: DataFrame) -> None:
+    """Deletes the checkpoint files of settled frames that nothing will read again."""
+    for frame in frames:
+        file = frame._jdf.logicalPlan().rdd().getCheckpointFile()
+        if file.isDefined():
+            context = frame.sparkSession.sparkContext
+            path = context._jvm.org.apache.hadoop.fs.Path(file.get())
+            path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
+
+
 @contextmanager
 def held(spark: SparkSession, settings: dict[str, str]) -> Iterator[None]:
     """Session settings for a block, as they were before afterwards."""
