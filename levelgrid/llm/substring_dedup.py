@@ -10,12 +10,16 @@ v, so they share an anchor: the length - v + 1 words from there.  The steps:
 1. `packed`: texts in compressed batches, written once to reliable storage.
 2. Anchors are hashed at cover places only; each batch sends each hash once to the part of the hash space
    that owns it (4 bytes each), and gets back one bit for it: whether another batch has it too.
-3. Extension: only windows over shared anchors are hashed (64 bits and the part), and each batch sends
-   each such window once with its first (doc_id, start); back comes one bit: whether an earlier one exists.
+3. Extension: only windows over shared anchors are hashed (two independent hashes of 64 bits), and each batch
+   sends each such window once with its first (doc_id, start); back comes one bit: whether an earlier one exists.
 4. Words under such windows, and under later windows of the same batch, are dropped.
 
-Hot passages do not gather: a batch sends a hash once however often it has it.  Part sizes follow the
-corpus, so no part grows; what returns is bits.
+Equal windows are told by 96 bits and more, words by 64: of 10**13 windows two different ones are taken for
+equal with a chance of 10**-3.  Inside a batch 64 bits decide, on at most a few million windows.
+
+Scale: the number of parts follows the corpus, so a part holds a few MB; a batch loops over the parts that it has
+hashes in and no others.  A hot passage does not gather documents: a batch of documents sends a hash once, in
+20 bytes or so, and a part is handled as Arrow columns.  What returns is bits.
 
 Edge cases: a null or wordless text has 0 words and the empty kept text; texts shorter than a window keep
 all words; equal rows with one doc_id stand at the same place, so neither is earlier and both stay; a null
@@ -34,7 +38,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import settled
-from .textkit import U64, grams, mix64, slices, split_words, text_buffer, text_column
+from .textkit import U64, grams, slices, split_words, text_buffer, text_column
 
 #: fixed values: smallest difference covers of some periods
 COVERS = {3: (0, 1), 7: (0, 1, 3), 13: (0, 1, 3, 9), 21: (0, 1, 4, 14, 16), 31: (0, 1, 3, 8, 12, 18)}
@@ -94,16 +98,19 @@ class Batch:
         self.anchors, self.anchor_of, counts = np.unique(values[inside], return_inverse=True, return_counts=True)
         self.local = counts > 1
 
-    def parts(self, values: np.ndarray) -> np.ndarray:
-        """Where each part's stretch of the sorted values begins, one more at the end."""
-        return np.searchsorted(values >> U64(64 - self.bits), np.arange((1 << self.bits) + 1, dtype=U64))
+    def parts(self, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The parts that the sorted values fall in, and where each one's stretch begins, one more at the end."""
+        of = (values >> U64(64 - self.bits)).astype(np.int64)
+        first = np.flatnonzero(np.concatenate([[True], of[1:] != of[:-1]])) if len(of) else np.zeros(0, dtype=np.int64)
+        return of[first], np.append(first, len(of))
 
     def answered(self, values: np.ndarray, answers) -> np.ndarray:
         """One flag for each sorted value, from the returned bits of its part."""
         out = np.zeros(len(values), dtype=bool)
-        edges = self.parts(values)
+        own, edges = self.parts(values)
         for x in answers or ():
-            a, b = edges[x["part"]], edges[x["part"] + 1]
+            i = np.searchsorted(own, x["part"])
+            a, b = edges[i], edges[i + 1]
             out[a:b] = np.unpackbits(np.frombuffer(x["flags"], dtype=np.uint8))[: b - a]
         return out
 
@@ -120,6 +127,7 @@ class Batch:
         values, where = grams(words, n)
         chosen = candidate[where]
         self.window_at = where[chosen]
+        self.candidates = chosen
         # batches are ordered by doc_id, so the first of equal windows is the earliest one
         self.windows, self.window_first, self.window_of = np.unique(values[chosen], return_index=True, return_inverse=True)
 
@@ -139,35 +147,51 @@ class Batch:
         return np.cumsum(step)[:-1] > 0
 
 
-def _squeeze(values: np.ndarray) -> bytes:
-    """Bytes of an integer column, like bytes together, compressed."""
-    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(values.view(np.uint8).reshape(len(values), -1).T).tobytes())
+def _rows(values: np.ndarray, edges: np.ndarray) -> pa.Array:
+    """The bytes of each stretch of the values as a row."""
+    values = np.ascontiguousarray(values)
+    return pa.Array.from_buffers(pa.binary(), len(edges) - 1, [None, pa.py_buffer((edges * values.itemsize).astype(np.int32)), pa.py_buffer(values)])
 
 
-def _loose(data: bytes, kind) -> np.ndarray:
-    raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(data), dtype=np.uint8)
-    return np.ascontiguousarray(raw.reshape(np.dtype(kind).itemsize, -1).T).view(kind).ravel()
+def _column(part: pa.Table, name: str, kind) -> tuple[np.ndarray, np.ndarray]:
+    """All rows' values of a binary column one after another, and how many each row has."""
+    column = part.column(name).cast(pa.large_binary()).combine_chunks()
+    chunks = column.chunks if isinstance(column, pa.ChunkedArray) else [column]
+    values, sizes = [np.zeros(0, dtype=kind)], [np.zeros(0, dtype=np.int64)]
+    for chunk in chunks:
+        at = np.frombuffer(chunk.buffers()[1], dtype=np.int64)[chunk.offset : chunk.offset + len(chunk) + 1]
+        values.append(np.frombuffer(chunk.buffers()[2], dtype=np.uint8)[at[0] : at[-1]].view(kind))
+        sizes.append(np.diff(at) // np.dtype(kind).itemsize)
+    return np.concatenate(values), np.concatenate(sizes)
 
 
-def _of_part(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, list[dict]]]:
+def _of_part(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, pa.Table]]:
     """All rows of one part at a time; rows come sorted by part."""
-    rows: list[dict] = []
+    held: list[pa.RecordBatch] = []
+    now = None
     for batch in batches:
-        for row in batch.to_pylist():
-            if rows and rows[0]["part"] != row["part"]:
-                yield rows[0]["part"], rows
-                rows = []
-            rows.append(row)
-    if rows:
-        yield rows[0]["part"], rows
+        keys = batch.column(0).to_numpy(zero_copy_only=False)
+        edges = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]])) if len(keys) else []
+        for a, b in zip(edges, [*edges[1:], len(keys)]):
+            if held and now != keys[a]:
+                yield now, pa.Table.from_batches(held)
+                held = []
+            now = int(keys[a])
+            held.append(batch.slice(a, b - a))
+    if held:
+        yield now, pa.Table.from_batches(held)
 
 
 _ANSWER = "batch long, part int, flags binary"
 
 
-def _answers(part: int, rows: list[dict], flags: list[np.ndarray]) -> pa.RecordBatch:
-    told = [(r["batch"], part, np.packbits(f).tobytes()) for r, f in zip(rows, flags) if f.any()]
-    return pa.RecordBatch.from_arrays([pa.array([t[i] for t in told], k) for i, k in enumerate((pa.int64(), pa.int32(), pa.binary()))], names=["batch", "part", "flags"])
+def _answers(part: int, rows: pa.Table, sizes: np.ndarray, flags: np.ndarray) -> pa.RecordBatch:
+    """One row of bits for each row of the part that has a flag set."""
+    ends = np.cumsum(sizes)
+    sums = np.concatenate([[0], np.cumsum(flags)])
+    some = np.flatnonzero(sums[ends] > sums[ends - sizes])
+    told = [np.packbits(flags[ends[i] - sizes[i] : ends[i]]).tobytes() for i in some.tolist()]
+    return pa.RecordBatch.from_arrays([pa.array(rows.column("batch").to_numpy()[some]), pa.array(np.full(len(some), part, dtype=np.int32)), pa.array(told, pa.binary())], names=["batch", "part", "flags"])
 
 
 def _gathered(answers: DataFrame, name: str) -> DataFrame:
@@ -187,19 +211,18 @@ def without_repeats(documents: DataFrame, length: int = 20) -> DataFrame:
         for batch in batches:
             for row in batch.to_pylist():
                 own = Batch(row["ids"], row["ends"], row["texts"], length, bits)
-                edges = own.parts(own.anchors)
-                short = low_bits(own.anchors)
-                sent = [(p, row["batch"], short[a:b].tobytes()) for p, (a, b) in enumerate(zip(edges, edges[1:])) if b > a]
-                yield pa.RecordBatch.from_arrays([pa.array([s[i] for s in sent], k) for i, k in enumerate((pa.int32(), pa.int64(), pa.binary()))], names=["part", "batch", "hashes"])
+                to, edges = own.parts(own.anchors)
+                columns = [pa.array(to.astype(np.int32)), pa.array(np.full(len(to), row["batch"])), _rows(low_bits(own.anchors), edges)]
+                yield pa.RecordBatch.from_arrays(columns, names=["part", "batch", "hashes"])
 
     def meet_anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, rows in _of_part(batches):
-            own = [np.frombuffer(r["hashes"], dtype=np.uint32) for r in rows]
+            own, sizes = _column(rows, "hashes", np.uint32)
             # a value stands once in a batch, unless two anchors share their 32 bits: then both are only taken for shared
-            every = np.sort(np.concatenate(own))
+            every = np.sort(own)
             twice = np.unique(every[1:][every[1:] == every[:-1]])
-            at = [np.minimum(np.searchsorted(twice, x), max(len(twice) - 1, 0)) for x in own]
-            yield _answers(part, rows, [twice[i] == x if len(twice) else np.zeros(len(x), dtype=bool) for i, x in zip(at, own)])
+            at = np.minimum(np.searchsorted(twice, own), max(len(twice) - 1, 0))
+            yield _answers(part, rows, sizes, twice[at] == own if len(twice) else np.zeros(len(own), dtype=bool))
 
     def send_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -207,25 +230,24 @@ def without_repeats(documents: DataFrame, length: int = 20) -> DataFrame:
                 own = Batch(row["ids"], row["ends"], row["texts"], length, bits)
                 own.find_windows(row["shared"])
                 ids, starts = (x[own.window_first] for x in own.places())
-                edges = own.parts(own.windows)
-                short, check = low_bits(own.windows), mix64(own.windows, 9).astype(np.uint32)
+                to, edges = own.parts(own.windows)
+                check = grams(own.words, length, other=True)[0][own.candidates][own.window_first]
                 least = int(ids.min()) if len(ids) else 0
-                sent = [(p, row["batch"], least, *(_squeeze(x[a:b]) for x in (short, check, ids - least, starts.astype(np.int32)))) for p, (a, b) in enumerate(zip(edges, edges[1:])) if b > a]
-                kinds = (pa.int32(), pa.int64(), pa.int64(), *[pa.binary()] * 4)
-                yield pa.RecordBatch.from_arrays([pa.array([s[i] for s in sent], k) for i, k in enumerate(kinds)], names=["part", "batch", "least", "hashes", "checks", "ids", "starts"])
+                columns = [pa.array(to.astype(np.int32)), *(pa.array(np.full(len(to), x, dtype=np.int64)) for x in (row["batch"], least))]
+                columns += [_rows(x, edges) for x in (low_bits(own.windows), check, ids - least, starts.astype(np.int32))]
+                yield pa.RecordBatch.from_arrays(columns, names=["part", "batch", "least", "hashes", "checks", "ids", "starts"])
 
     def meet_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, rows in _of_part(batches):
-            values = [(_loose(r["hashes"], np.uint32).astype(U64) << U64(32)) | _loose(r["checks"], np.uint32) for r in rows]
-            ids = np.concatenate([_loose(r["ids"], np.int64) + r["least"] for r in rows])
-            starts = np.concatenate([_loose(r["starts"], np.int32) for r in rows])
-            every = np.concatenate(values)
-            order = np.lexsort((starts, ids, every))
-            begins = np.concatenate([[True], every[order][1:] != every[order][:-1]])
-            first = order[np.maximum.accumulate(np.where(begins, np.arange(len(order)), 0))]
-            later = np.zeros(len(every), dtype=bool)
+            values, sizes = _column(rows, "hashes", np.uint32)
+            checks, starts = _column(rows, "checks", U64)[0], _column(rows, "starts", np.int32)[0]
+            ids = _column(rows, "ids", np.int64)[0] + np.repeat(rows.column("least").to_numpy(), sizes)
+            order = np.lexsort((starts, ids, checks, values))
+            new = (values[order][1:] != values[order][:-1]) | (checks[order][1:] != checks[order][:-1])
+            first = order[np.maximum.accumulate(np.where(np.concatenate([[True], new]), np.arange(len(order)), 0))]
+            later = np.zeros(len(values), dtype=bool)
             later[order] = (ids[order] != ids[first]) | (starts[order] != starts[first])
-            yield _answers(part, rows, np.split(later, np.cumsum([len(v) for v in values])[:-1]))
+            yield _answers(part, rows, sizes, later)
 
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

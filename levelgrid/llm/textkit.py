@@ -21,6 +21,7 @@ PIECE_BYTES = 1 << 20
 _rng = np.random.default_rng(20240229)
 _BYTE_VALUE = _rng.integers(1, 2**63, 256, dtype=np.int64).astype(U64) | U64(1)
 _GRAM_VALUE = _rng.integers(1, 2**63, 64, dtype=np.int64).astype(U64) | U64(1)
+_OTHER_VALUE = _rng.integers(1, 2**63, 64, dtype=np.int64).astype(U64) | U64(1)
 _BASE = U64(0x9E3779B97F4A7C15)
 
 #: separators of `[^\x20\x09-\x0D]+`
@@ -126,15 +127,16 @@ def split_words(buf: np.ndarray, offsets: np.ndarray, separator: np.ndarray = SP
     return Words(doc, start, end, value, counts, first)
 
 
-def grams(words: Words, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of all runs of n words within one document, and the index of each run's first word."""
+def grams(words: Words, n: int, other: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all runs of n words within one document, and the index of each run's first word; `other` gives independent ones."""
+    factors = _OTHER_VALUE if other else _GRAM_VALUE
     total = len(words.value) - n + 1
     if total <= 0:
         return np.zeros(0, dtype=U64), np.zeros(0, dtype=np.int64)
     at = np.flatnonzero(words.doc[: total] == words.doc[n - 1 :])
-    sums = words.value[:total] * _GRAM_VALUE[0]
+    sums = words.value[:total] * factors[0]
     for j in range(1, n):
-        sums += words.value[j : total + j] * _GRAM_VALUE[j]
+        sums += words.value[j : total + j] * factors[j]
     return mix64(sums[at], n), at
 
 
