@@ -23,7 +23,9 @@ BLOCK x BLOCK, and its rows are n * n / BLOCK.
 
 Edge cases: a text of 1 to 4 words has one gram, all its words; a null or wordless text has none, links to
 nothing and is a class of its own; a null doc_id takes part, is named by no class unless all of its
-class have none; repeated rows are copies of each other; an empty table gives no rows; other columns are ignored.
+class have none; one doc_id may name several texts, each of which is judged by itself; repeated rows are
+copies of each other; an empty table gives no rows; `near_duplicates` ignores other columns, `one_of_each`
+keeps them whatever their names.
 """
 
 from __future__ import annotations
@@ -33,7 +35,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levelgrid.operators.components import star_components
@@ -54,6 +56,11 @@ CANDIDATE, PIVOT_LINK, PIVOT_NEAR = 36, 12, 42
 #: rows with a text or a gram set can be large: fewer of them stand in memory at once
 SMALL_BATCHES = {"spark.sql.execution.arrow.maxRecordsPerBatch": "500"}
 
+#: with the doc_id, what tells the rows of a table apart
+def _text_key():
+    return F.xxhash64("text")
+
+
 _rng = np.random.default_rng(7)
 _FACTORS = _rng.integers(1, 2**63, COORDINATES, dtype=np.int64).astype(U64) * U64(2) + U64(1)
 
@@ -90,7 +97,7 @@ def minhashes(sets: list[np.ndarray]) -> np.ndarray:
 
 
 def signatures(documents: DataFrame, n: int = GRAM) -> DataFrame:
-    """(doc_id, node, grams, signature) of each row of (doc_id, text): its gram set's name (null if it has none) and size."""
+    """(doc_id, text_key, node, grams, signature) of each row of (doc_id, text): a hash of the text, its gram set's name (null if it has none) and size."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -101,9 +108,10 @@ def signatures(documents: DataFrame, n: int = GRAM) -> DataFrame:
                 if full:
                     for i, row in zip(full, minhashes([sets[i] for i in full])):
                         names[i], signed[i] = set_name(sets[i]), row.tobytes()
-                yield pa.RecordBatch.from_arrays([part.column(0).cast(pa.int64()), pa.array(names, pa.int64()), pa.array([len(x) for x in sets], pa.int64()), pa.array(signed, pa.binary())], names=["doc_id", "node", "grams", "signature"])
+                columns = [part.column(0).cast(pa.int64()), part.column(2), pa.array(names, pa.int64()), pa.array([len(x) for x in sets], pa.int64()), pa.array(signed, pa.binary())]
+                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "text_key", "node", "grams", "signature"])
 
-    return documents.select("doc_id", "text").mapInArrow(run, "doc_id long, node long, grams long, signature binary")
+    return documents.select("doc_id", "text", _text_key().alias("text_key")).mapInArrow(run, "doc_id long, text_key long, node long, grams long, signature binary")
 
 
 def _token(coordinate) -> F.Column:
@@ -280,8 +288,9 @@ def similar(sets: list[np.ndarray], split: int | None = None) -> np.ndarray:
 
 
 def with_sets(documents: DataFrame, members: DataFrame) -> DataFrame:
-    """`members` (node, doc, ...) with the sorted gram set of each, from the text of the document named `doc`."""
-    told = documents.select(F.col("doc_id").alias("of"), "text").join(members, F.col("of").eqNullSafe(F.col("doc"))).drop("of")
+    """`members` (node, doc, ...) with the sorted gram set of each, from the text of the document `doc` (doc_id, text_key)."""
+    own = documents.select(F.col("doc_id").cast("long").alias("of"), _text_key().alias("of_key"), "text")
+    told = own.join(members, F.col("of").eqNullSafe(F.col("doc.doc_id")) & (F.col("of_key") == F.col("doc.text_key"))).drop("of", "of_key", "doc")
     names = [c for c in told.columns if c != "text"]
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in told.schema if f.name != "text"), "grams binary"])
 
@@ -290,7 +299,7 @@ def with_sets(documents: DataFrame, members: DataFrame) -> DataFrame:
             for part in slices(batch):
                 sets = gram_sets(split_words(*text_buffer(text_column(part))))
                 nodes = part.column(part.schema.get_field_index("node")).to_pylist()
-                right = [set_name(x) == y for x, y in zip(sets, nodes)]  # a doc_id may name several texts
+                right = [set_name(x) == y for x, y in zip(sets, nodes)]
                 columns = [part.column(part.schema.get_field_index(c)) for c in names]
                 yield pa.RecordBatch.from_arrays([*columns, pa.array([x.tobytes() for x in sets], pa.binary())], names=[*names, "grams"]).filter(pa.array(right))
 
@@ -331,16 +340,18 @@ def exact_links(members: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, "node long, root long, texts long, documents long")
 
 
-def near_duplicates(documents: DataFrame) -> DataFrame:
-    """doc_id, class_id, n_links, n_texts for each row of (doc_id, text).
+def classified(documents: DataFrame) -> DataFrame:
+    """(doc_id, text_key, node, first, n_links, n_texts) of each row: `first` is the document (doc_id, text_key) that stands for its class.
 
-    class_id is the smallest doc_id among all documents that links join, directly or through others;
-    n_links counts the other documents with Jaccard 0.8 or more, copies included; n_texts the different texts among them.
+    That is the one with the smallest doc_id, and of texts with that doc_id the one with the smallest key;
+    a row without grams has no node and no first.
     """
     with held(documents.sparkSession, SMALL_BATCHES):
         signed = settled(signatures(documents))
     n = signed.count()
-    texts = settled(signed.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("doc"), F.count("*").alias("copies"), F.first("grams").alias("grams"), F.first("signature").alias("signature")), n)
+    # documents without a doc_id come last
+    least = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "text_key")).alias("doc")
+    texts = settled(signed.where("node is not null").groupBy("node").agg(least, F.count("*").alias("copies"), F.first("grams").alias("grams"), F.first("signature").alias("signature")), n)
     edges = None
     with held(documents.sparkSession, {"spark.sql.execution.arrow.maxRecordsPerBatch": "4000"}):
         for found in candidate_edges(texts, n):
@@ -361,26 +372,41 @@ def near_duplicates(documents: DataFrame) -> DataFrame:
     counts = links.groupBy("node").agg(F.sum("texts").alias("texts"), F.sum("documents").alias("documents"), F.min("root").alias("root"))
     joined = star_components(links.select(F.col("node").alias("u"), F.col("root").alias("v")), rows=n * RUNS)
     classes = counts.join(joined.select(F.col("v").alias("node"), "component"), "node", "left").select("node", "texts", "documents", F.coalesce("component", "node").alias("component"))
-    least = classes.join(texts.select("node", "doc"), "node").groupBy("component").agg(F.min("doc").alias("class_doc"))
-    told = texts.select("node", "doc", "copies").join(classes.join(least, "component"), "node", "left")
+    firsts = classes.join(texts.select("node", "doc"), "node").groupBy("component").agg(F.min("doc").alias("first"))
+    told = texts.select("node", "doc", "copies").join(classes.join(firsts, "component"), "node", "left")
     told = told.select(
         F.col("node").alias("of"),
-        F.coalesce("class_doc", "doc").alias("class_id"),
+        F.coalesce("first", "doc").alias("first"),
         (F.col("copies") - 1 + F.coalesce("documents", F.lit(0))).alias("n_links"),
         F.coalesce("texts", F.lit(0)).alias("n_texts"),
     )
-    rows = signed.select("doc_id", "node").join(told, F.col("node") == F.col("of"), "left")
-    return rows.select(
+    return signed.select("doc_id", "text_key", "node").join(told, F.col("node") == F.col("of"), "left").drop("of")
+
+
+def near_duplicates(documents: DataFrame) -> DataFrame:
+    """doc_id, class_id, n_links, n_texts for each row of (doc_id, text).
+
+    class_id is the smallest doc_id among all documents that links join, directly or through others;
+    n_links counts the other documents with Jaccard 0.8 or more, copies included; n_texts the different texts among them.
+    """
+    return classified(documents).select(
         "doc_id",
-        F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"),
+        F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("first.doc_id")).alias("class_id"),
         F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"),
         F.coalesce("n_texts", F.lit(0)).cast("long").alias("n_texts"),
     )
 
 
 def one_of_each(documents: DataFrame) -> DataFrame:
-    """The documents that stand for their class, one row each, with all columns; those without doc_id stay."""
-    keep = near_duplicates(documents).where("doc_id = class_id").select(F.col("doc_id").alias("kept_id")).distinct()
-    joined = documents.join(keep, F.col("doc_id") == F.col("kept_id"), "left_semi")
-    nth = F.row_number().over(Window.partitionBy("doc_id").orderBy(*(c for c in documents.columns if c != "doc_id")))
-    return joined.withColumn("nth", nth).where("nth = 1").drop("nth").unionByName(documents.where("doc_id is null"))
+    """The document that stands for each class, with all its columns, and every text that has no words.
+
+    Rows are told apart by doc_id and text: of different texts with one doc_id each is kept or not by its own
+    class.  Rows equal in both are one; the smallest of them, by all columns, is kept.
+    """
+    stands = F.col("node").isNull() | (F.struct("doc_id", "text_key").eqNullSafe(F.struct("first.doc_id", "first.text_key")))
+    keep = classified(documents).where(stands).select("doc_id", "text_key").distinct()
+    # equal rows meet before the join, with partial sums in each task: many of them are no hot key
+    rows = documents.select(F.col("doc_id").cast("long").alias("of"), _text_key().alias("of_key"), F.struct("*").alias("row"))
+    rows = rows.groupBy("of", "of_key").agg(F.min("row").alias("row"))
+    kept = rows.join(keep, F.col("of").eqNullSafe(F.col("doc_id")) & (F.col("of_key") == F.col("text_key")), "left_semi")
+    return kept.select("row.*")
