@@ -15,7 +15,8 @@ thing that is ordered as a whole.
 
 Edge cases: a null text has size 0 and takes nothing; a null source is a source of its own, last in
 order; equal documents are ordered by doc_id and then share their places; with no words at all every
-target and taken count is 0; an empty table gives no rows; `mixed_documents` keeps the table's columns.
+target and taken count is 0; an empty table gives no rows; `mixed_documents` keeps the table's columns,
+whatever their names.
 """
 
 from __future__ import annotations
@@ -35,7 +36,8 @@ FINE = 512
 
 
 def sized(documents: DataFrame) -> DataFrame:
-    return documents.withColumn("size", F.regexp_count(text_or_empty(), F.lit(WORD)).cast("long"))
+    """(doc_id, source, size, row): what the plan needs, and all columns of the table in one."""
+    return documents.select("doc_id", "source", F.regexp_count(text_or_empty(), F.lit(WORD)).cast("long").alias("size"), F.struct("*").alias("row"))
 
 
 def source_targets(sizes: DataFrame, weights=WEIGHTS, most: int = 3) -> DataFrame:
@@ -182,6 +184,7 @@ def mixed_documents(documents: DataFrame, weights=WEIGHTS, most: int = 3) -> Dat
     laps = stream.join(sources, F.col("source").eqNullSafe(F.col("reach_of"))).withColumn("lap", F.explode(F.sequence(F.lit(0), F.lit(most - 1))))
     words = F.least(F.col("size"), F.col("reach") - F.col("start") - F.col("lap") * F.col("source_size"))
     laps = laps.withColumn("words", words).where("words > 0")
-    head = F.array_join(F.slice(F.regexp_extract_all("text", F.lit(f"({WORD})")), F.lit(1), F.col("words").cast("int")), " ")
-    text = F.when(F.col("words") == F.col("size"), F.col("text")).otherwise(head)
-    return laps.withColumn("text", text).withColumn("n_chars", F.char_length("text").cast("long")).select(documents.columns)
+    head = F.array_join(F.slice(F.regexp_extract_all("row.text", F.lit(f"({WORD})")), F.lit(1), F.col("words").cast("int")), " ")
+    laps = laps.select("row", F.when(F.col("words") == F.col("size"), F.col("row.text")).otherwise(head).alias("text"))
+    new = {"text": F.col("text"), "n_chars": F.char_length("text").cast("long")}
+    return laps.select(*(new.get(c, F.col("row").getField(c)).alias(c) for c in documents.columns))

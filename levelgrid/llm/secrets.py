@@ -11,8 +11,8 @@ secret or something harmless, an assignment right before it or to it, a line of
 the prefix of a known key form.  The text around a candidate includes its neighbours among the candidates.
 
 Edge cases: a null text has no candidate and stays null; an empty text stays empty; repeated candidates
-are found and judged each time; other columns are kept by `redacted_documents`; repeated rows give
-repeated results; an empty table gives no rows.
+are found and judged each time; other columns are kept by `redacted_documents`, whatever their names; repeated
+rows give repeated results; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -223,10 +223,10 @@ def forest_score(trees: list, values: Column) -> Column:
 
 
 def scanned(documents: DataFrame, threshold: float = 0.5) -> DataFrame:
-    """`documents` with `findings`: every candidate in order, the text before it, its score, whether it is a secret; and `rest`, the text after the last."""
+    """`row`, the columns of `documents`, with `text` and `findings`: every candidate in order, the text before it, its score, whether it is a secret; and `rest`, the text after the last."""
     trees = forest(documents.sparkSession)
     text = text_or_empty()
-    marked = documents.withColumn("candidates", F.regexp_extract_all(text, F.lit(f"({CANDIDATE})"))).withColumn("gaps", F.split(text, CANDIDATE, -1))
+    marked = documents.select(F.struct("*").alias("row"), "text", F.regexp_extract_all(text, F.lit(f"({CANDIDATE})")).alias("candidates"), F.split(text, CANDIDATE, -1).alias("gaps"))
     # neighbours are text too: three candidates are longer than the text that features look at
     around = lambda some, size: F.concat_ws("", *(F.right(F.get(x, i), F.lit(size)) if size == 32 else F.left(F.get(x, i), F.lit(size)) for x, i in some))
     placed = F.transform(
@@ -255,7 +255,7 @@ def secret_report(documents: DataFrame) -> DataFrame:
     found = scanned(documents.select("doc_id", "text"))
     secrets = F.filter("findings", lambda x: x["secret"])
     return found.select(
-        "doc_id",
+        "row.doc_id",
         F.size("findings").cast("long").alias("n_candidates"),
         F.size(secrets).cast("long").alias("n_secrets"),
         F.transform(secrets, lambda x: F.struct(x["candidate"].alias("candidate"), x["score"].alias("score"))).alias("secrets"),
@@ -265,5 +265,7 @@ def secret_report(documents: DataFrame) -> DataFrame:
 
 def redacted_documents(documents: DataFrame) -> DataFrame:
     """The documents with every secret masked; n_chars follows the text."""
-    found = scanned(documents).withColumn("text", redacted_text())
-    return found.withColumn("n_chars", F.coalesce(F.char_length("text").cast("long"), F.col("n_chars"))).select(documents.columns)
+    found = scanned(documents).select("row", redacted_text().alias("redacted"))
+    length = F.coalesce(F.char_length("redacted").cast("long"), F.col("row.n_chars")) if "n_chars" in documents.columns else None
+    new = {"text": F.col("redacted"), "n_chars": length}
+    return found.select(*(new.get(c, F.col("row").getField(c)).alias(c) for c in documents.columns))

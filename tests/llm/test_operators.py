@@ -407,11 +407,11 @@ def test_targets(spark):
 
 
 def test_mix(docs, rows, empty):
-    mix = mixing.Mix(mixing.slim_sizes(docs.drop("size")))
+    mix = mixing.Mix(mixing.slim_sizes(docs))
     told = mix.taken().collect()
     assert len(told) == len(rows)
     assert all(0 <= r["taken"] <= 3 * r["size"] for r in told)
-    assert sorted(tuple(r) for r in told) == sorted(tuple(r) for r in mixing.Mix(mixing.slim_sizes(docs.drop("size").repartition(5))).taken().collect())
+    assert sorted(tuple(r) for r in told) == sorted(tuple(r) for r in mixing.Mix(mixing.slim_sizes(docs.repartition(5))).taken().collect())
     targets = {r["source"]: r for r in mix.targets.collect()}
     taken = Counter()
     source = {r[0]: r[3] for r in rows}
@@ -420,7 +420,7 @@ def test_mix(docs, rows, empty):
         assert r["target"] == targets[source[r["doc_id"]]]["target"]
     for s, r in targets.items():
         assert abs(taken[s] - r["target"]) <= max(0.02 * r["target"], 4 * mix.block)
-    whole = mixing.mixed_documents(docs.drop("size"))
+    whole = mixing.mixed_documents(docs)
     assert sum(len(WORD.findall(r["text"])) for r in whole.collect()) == sum(taken.values())
     assert mixing.Mix(mixing.slim_sizes(empty)).taken().count() == 0
     assert mixing.mixed_documents(empty).count() == 0
@@ -568,6 +568,31 @@ def test_jensen_shannon():
     assert q == pytest.approx(np.sqrt(h(m) - (h([0.75, 0.25]) + h([0.5, 0.5])) / 2))
 
 
+CLASHING = ("rest", "findings", "gaps", "candidates", "row", "redacted", "size", "bucket", "words", "key", "before", "place", "start", "lap", "nth", "kept_id", "of", "of_key", "node", "text_key", "first", "reach", "ids_", "kept", "level", "n")
+
+
+def test_columns_with_internal_names_come_back_as_they_were(docs, rows):
+    """Every operator that keeps a table's columns keeps those that are named like its own."""
+    wide = docs.drop("size", "node").select("*", *(F.lit(f"mine {x}").alias(x) for x in CLASHING))
+    for work in (quality.filtered_documents, jaccard_join.one_of_each, secrets.redacted_documents, mixing.mixed_documents, lambda d: pieces.encode_documents(d, token_count.vocabulary_path("piece_bpe_32k.model"))):
+        out = work(wide)
+        assert out.columns[: len(wide.columns)] == wide.columns
+        told = out.collect()
+        assert told and all(r[x] == f"mine {x}" for r in told for x in CLASHING)
+    for work in (jaccard_join.near_duplicates, lambda d: mixing.Mix(mixing.slim_sizes(d)).taken(), licenses.scan_licenses, quality.quality_figures, secrets.secret_report, substring_dedup.without_repeats):
+        assert work(wide).count() == len(rows)
+
+
+def test_texts_that_share_a_doc_id_are_all_judged(spark):
+    """Different texts under one doc_id, or under none, stay; near copies of them go."""
+    draw = random.Random(31)
+    words = lambda: " ".join("".join(draw.choices("abcdefgh", k=5)) for _ in range(60))
+    a, b, c, d = (words() for _ in range(4))
+    made = [(5, a), (5, b), (5, b), (6, b + " end"), (None, c), (None, d), (None, d + " end"), (4, d), (7, ""), (8, None), (9, "  "), (None, "")]
+    kept = jaccard_join.one_of_each(spark.createDataFrame(made, "doc_id long, text string").repartition(3)).collect()
+    assert Counter((r["doc_id"], r["text"]) for r in kept) == Counter([(5, a), (5, b), (None, c), (4, d), (7, ""), (8, None), (9, "  "), (None, "")])
+
+
 def test_settings_are_given_back(spark):
     before = spark.conf.get("spark.sql.shuffle.partitions")
     with held(spark, {"spark.sql.shuffle.partitions": "3"}):
