@@ -33,6 +33,8 @@ from .textkit import PUNCT, U64, mix64, slices, split_words, text_buffer, text_c
 SLOTS, BLOCK = 1 << 21, 1 << 15
 BAND = (0.25, 0.75)
 MIN_TERMS = 3
+#: bytes of text in a range of documents; ranges are larger only beyond MOST_RANGES of them
+RANGE_BYTES, MOST_RANGES = 32 << 20, 20_000
 #: each randomised lexicon keeps one term in 2**d
 THINNING = (0, *(d for d in range(2, 12) for _ in range(4)))
 _WEIGHT = np.sqrt(2.0 ** np.array(THINNING))
@@ -43,6 +45,8 @@ _NONE = -(1 << 63)
 class Lexicon:
     bits: np.ndarray
     documents: int
+    #: of all texts
+    bytes: int = 0
 
     def __post_init__(self):
         self.mask = np.unpackbits(self.bits).astype(bool)
@@ -80,7 +84,7 @@ def document_frequencies(documents: DataFrame) -> DataFrame:
 
 def lexicon(documents: DataFrame, band: tuple[float, float] = BAND) -> Lexicon:
     """What reaches the driver is one bit for each place, whatever the corpus."""
-    n = documents.count()
+    n, size = documents.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
     scale = np.log(max(n, 2))
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -95,7 +99,7 @@ def lexicon(documents: DataFrame, band: tuple[float, float] = BAND) -> Lexicon:
     bits = np.zeros(SLOTS // 8, dtype=np.uint8)
     for block, own in document_frequencies(documents).mapInArrow(judge, "block int, bits binary").collect():
         bits[block * BLOCK // 8 : (block + 1) * BLOCK // 8] = np.frombuffer(bytes(own), dtype=np.uint8)
-    return Lexicon(bits, n)
+    return Lexicon(bits, n, size)
 
 
 def fingerprint_values(column: pa.Array, known: Lexicon) -> tuple[np.ndarray, np.ndarray]:
@@ -168,10 +172,10 @@ def edited_fingerprints(documents: DataFrame, known: Lexicon) -> DataFrame:
     """Fingerprints of each text and of its edited text, whose last third is the start of the next document's.
 
     The next document is the one before in descending doc_id, after the last one the first.  Texts move
-    once, compressed, to ranges of doc_id; the first document of each range is also sent to the range
-    before it, so no range waits for another.
+    once, compressed, to ranges of doc_id, a task each, whose number follows the size of all texts; the first
+    document of each range is also sent to the range before it, so no range waits for another.
     """
-    bounds = _ranges(documents, parts(documents))
+    bounds = _ranges(documents, min(MOST_RANGES, max(parts(documents), known.bytes // RANGE_BYTES)))
     last = len(bounds) - 1
     rising = np.array(bounds[::-1], dtype=np.int64)
 
@@ -242,7 +246,7 @@ def edited_fingerprints(documents: DataFrame, known: Lexicon) -> DataFrame:
         )
 
     dealt = documents.select("doc_id", "text").mapInArrow(deal, "home int, beyond int, id long, tie binary, packed binary")
-    dealt = dealt.repartition(last + 1, "home").sortWithinPartitions("home", "beyond", F.desc("id"), "tie")
+    dealt = dealt.repartitionById(last + 1, "home").sortWithinPartitions("home", "beyond", F.desc("id"), "tie")
     return dealt.mapInArrow(run, OUT)
 
 
