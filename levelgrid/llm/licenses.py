@@ -3,7 +3,7 @@
 A text is brought to its words (A-Z lowered, words by `textkit.PUNCT`) joined by single spaces.  A notice
 that may have k edits is split into k + 1 pieces; by the pigeonhole principle one of them stands unedited
 in every match, so only places around exact pieces are candidates.  There the regex library's
-bounded-error matching verifies the edits and gives the span.
+bounded-error matching verifies the edits, and its best match around a verified place gives the least edits and the span.
 
 Edge cases: a null or wordless text has no finding, no label and score 0; other columns are ignored;
 repeated rows give repeated results; an empty table gives no rows.
@@ -88,7 +88,17 @@ class Scanner:
         self.fuzzy = []
         for phrase, label in notices:
             k = edits_allowed(phrase)
-            self.fuzzy.append((regex.compile(rb"(?<= )(?:" + regex.escape(phrase.encode(), literal_spaces=True) + rb"){e<=%d}(?= )" % k), seeds(phrase, k), len(phrase), k, label))
+            bounded = rb"(?<= )(?:" + regex.escape(phrase.encode(), literal_spaces=True) + rb"){e<=%d}(?= )" % k
+            self.fuzzy.append((regex.compile(bounded), regex.compile(rb"(?b)" + bounded), seeds(phrase, k), len(phrase), k, label))
+
+    @staticmethod
+    def _matches(joined: bytes, pattern, best, a: int, b: int, k: int) -> Iterator:
+        """Matches in [a, b) one after another, each the best one that overlaps the first place that matches at all."""
+        while m := pattern.search(joined, a, b):
+            # what begins later than the first match ends is the next one's
+            m = best.search(joined, m.start(), min(b, m.end() + k + 1)) or m
+            yield m
+            a = max(a + 1, m.end())
 
     def scan(self, text: bytes) -> tuple[int, list[dict]]:
         """Words of the text, and its findings in the order of the phrase tables."""
@@ -101,10 +111,10 @@ class Scanner:
                 seen += joined.count(b" ", counted, at)
                 counted = at
                 out.append({"label": label, "exact": True, "first_word": seen, "last_word": seen + n - 1, "edits": 0, "score": 1.0})
-        for pattern, parts, length, k, label in self.fuzzy:
+        for pattern, best, parts, length, k, label in self.fuzzy:
             seen, counted = 0, 0
             for a, b in _windows(joined, parts, length, k):
-                for m in pattern.finditer(joined, a, b):
+                for m in self._matches(joined, pattern, best, a, b, k):
                     seen += joined.count(b" ", counted, m.start())
                     counted, first = m.start(), seen - 1
                     edits = sum(m.fuzzy_counts)
@@ -147,7 +157,7 @@ def scan_licenses(documents: DataFrame, base=BASE, notices=NOTICES) -> DataFrame
 
 
 def license_summary(found: DataFrame) -> DataFrame:
-    """One row for each document: counts, first and last exact place, labels, and the best score."""
+    """One row for each document: counts, first and last exact place, labels, the best score, and the spans of all findings."""
     exact = F.filter("findings", lambda x: x["exact"])
     starts = F.transform("exact", lambda x: x["first_word"])
     names = lambda column: F.array_join(F.array_sort(F.array_distinct(F.transform(column, lambda x: x["label"]))), ",")
@@ -160,4 +170,5 @@ def license_summary(found: DataFrame) -> DataFrame:
         names("exact").alias("base_labels"),
         names("findings").alias("labels"),
         F.coalesce(F.array_max(F.transform("findings", lambda x: x["score"])), F.lit(0.0)).alias("score"),
+        F.transform("findings", lambda x: F.struct(x["label"].alias("label"), x["first_word"].alias("first_word"), x["last_word"].alias("last_word"), x["edits"].alias("edits"))).alias("spans"),
     )
