@@ -39,7 +39,8 @@ def op6_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_reply_order(spark: SparkSession, sf_dir: str) -> DataFrame:
-    ordered = quotation.reply_ordered(table(spark, sf_dir, "conversations"))
+    """The table's messages quote nothing, so they are sent as mail first, by a fixed rule; what comes back has the messages' own texts."""
+    ordered = quotation.reply_ordered(quotation.as_mail(table(spark, sf_dir, "conversations")))
     return ordered.select("conv_id", "turn", "role", "parent", "depth", "linked", "quote_levels", F.size("links").cast("long").alias("n_links"), "text")
 
 

@@ -101,6 +101,23 @@ def read(text: str) -> tuple[str, int, list[int], list[tuple[int, int, int, int]
     return re.sub(r"\n{3,}", "\n\n", "\n".join(own)).strip("\n"), deepest, said, quoted
 
 
+def answered(turn):
+    """The turn that a message quotes when it is sent as mail: every third one goes back two turns further than the one before."""
+    return F.when((turn % 3 == 2) & (turn >= 3), turn - 3).when(turn % 3 != 0, turn - 1)
+
+
+def as_mail(messages: DataFrame) -> DataFrame:
+    """(conv_id, turn, role, text): messages as they would be sent, each behind a quote of the one that `answered` names.
+
+    Every line of the quoted text stands behind a mark, under a line that introduces it.  A message whose turn names
+    none, or one that is not there or has no text, quotes nothing; a turn that stands twice is quoted in its smallest text.
+    """
+    said = messages.where("trim(text) <> ''").groupBy("conv_id", F.col("turn").alias("origin")).agg(F.min("text").alias("quoted"), F.min("role").alias("by"))
+    told = messages.select("conv_id", "turn", "role", "text", answered(F.col("turn")).alias("origin")).join(said, ["conv_id", "origin"], "left")
+    quote = F.concat(F.coalesce("by", F.lit("someone")), F.lit(" wrote:\n> "), F.regexp_replace("quoted", "\n", "\n> "), F.lit("\n"))
+    return told.select("conv_id", "turn", "role", F.concat(F.coalesce(quote, F.lit("")), F.coalesce("text", F.lit(""))).alias("text"))
+
+
 def parsed(messages: DataFrame) -> DataFrame:
     """Own text and sentences of each row of (conv_id, turn, role, text)."""
 

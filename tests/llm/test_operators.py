@@ -388,6 +388,22 @@ def test_short_quotes(spark):
     assert told[2, 5]["depth"] == told[2, 3]["depth"] + 1 and told[1, 4]["depth"] == 1
 
 
+def test_conversations_as_mail(spark):
+    """The query's rows, against following quotes one by one over the same mail."""
+    from levelgrid.llm import queries
+
+    data = "/root/testdata/sf0.001"
+    messages = spark.read.parquet(f"{data}/conversations.parquet").select("conv_id", "turn", "role", "text")
+    mail = [tuple(r) for r in quotation.as_mail(messages).collect()]
+    told = queries.op7_reply_order(spark, data).collect()
+    assert sorted((r["conv_id"], r["turn"], -1 if r["parent"] is None else r["parent"], r["depth"]) for r in told) == brute_replies(mail)
+    own = {(r["conv_id"], r["turn"]): r["text"] for r in messages.collect()}
+    assert all(r["text"].strip("\n") == own[r["conv_id"], r["turn"]].strip("\n") for r in told)
+    quoting = {(c, t) for c, t, _, text in mail if "> " in text}
+    assert len(quoting) > len(mail) / 3 and sum(r["linked"] for r in told) > 0.9 * len(quoting)
+    assert sum(r["linked"] and r["parent"] == r["turn"] - 3 for r in told) > 0
+
+
 def test_parse_quotes():
     own, levels, said, quoted = quotation.parse("On Monday A wrote:\n> one two three four.\n>> five six seven eight.\n\nmine is this text")
     assert (own, levels) == ("mine is this text", 2)
@@ -483,7 +499,7 @@ def test_licenses(spark, docs, rows, empty):
     assert (told[1]["n_base"], told[1]["base_labels"], told[1]["first_word"], told[1]["last_word"], told[1]["score"]) == (4, "apache,gpl,mit", 3, 13, 1.0)
     assert (told[2]["n_base"], told[2]["labels"], told[2]["first_word"]) == (0, "gpl,mit", None) and 0.8 < told[2]["score"] < 1
     assert told[3]["labels"] in ("", "mit") and told[3]["n_base"] == 0
-    assert tuple(told[4])[1:] == (0, 0, None, None, "", "", 0.0)
+    assert tuple(told[4])[1:] == (0, 0, None, None, "", "", 0.0, [])
     assert told[5]["labels"] == "mit"
     word = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
     counts = {r["doc_id"]: r["n_words"] for r in licenses.scan_licenses(docs).collect()}
@@ -491,17 +507,46 @@ def test_licenses(spark, docs, rows, empty):
     assert licenses.license_summary(licenses.scan_licenses(empty)).count() == 0
 
 
-def test_fuzzy_search_finds_all_within_the_bound():
-    """Pigeonhole: every edited notice within the bound is found."""
-    draw, scanner = random.Random(9), licenses.Scanner()
+def least_edits(phrase, text):
+    """The fewest edits between a phrase and any run of whole words of the text, by the textbook table."""
+    best = 10**9
+    starts = [0, *(i + 1 for i, c in enumerate(text) if c == " ")]
+    for a in starts:
+        rest = text[a : a + 2 * len(phrase)]
+        row = list(range(len(phrase) + 1))
+        for i, c in enumerate(rest, 1):
+            new = [i]
+            for j, p in enumerate(phrase, 1):
+                new.append(min(row[j] + 1, new[-1] + 1, row[j - 1] + (c != p)))
+            row = new
+            if a + i == len(text) or text[a + i] == " ":
+                best = min(best, row[-1])
+    return best
+
+
+def test_fuzzy_search_tells_the_least_edits():
+    """Pigeonhole: every edited notice within the bound is found, with the edits that the table tells, in its place."""
+    draw, scanner = random.Random(9), licenses.Scanner(base=())
+    exact = 0
     for phrase, label in licenses.NOTICES:
-        for _ in range(10):
+        one = licenses.Scanner(base=(), notices=((phrase, label),))
+        for _ in range(12):
             edited = list(phrase)
             for _ in range(draw.randint(0, licenses.edits_allowed(phrase))):
                 at = draw.randrange(1, len(edited) - 1)
                 draw.choice([lambda: edited.__setitem__(at, "z"), lambda: edited.__delitem__(at), lambda: edited.insert(at, "z")])()
-            found = scanner.scan(f"words before {''.join(edited)} words after".encode())[1]
-            assert any(x["label"] == label for x in found) or any(x["edits"] == 0 for x in found), edited
+            text = " ".join(f"words before {''.join(edited)} words after".split())
+            found = one.scan(text.encode())[1]
+            wanted = least_edits(phrase, text)
+            assert wanted <= licenses.edits_allowed(phrase)
+            assert min(x["edits"] for x in found) == wanted, (text, found)
+            assert all(x["label"] == label and 0 < x["first_word"] <= 3 for x in found)
+            exact += wanted == 0
+            # beside the other notices it gives way only to a nearer one
+            every = scanner.scan(text.encode())[1]
+            assert any(x["label"] == label for x in every) or any(x["edits"] < wanted for x in every)
+        assert one.scan(b"words that stand for nothing at all and go on for a while")[1] == []
+    assert exact > 20
 
 
 # ---- 10
