@@ -1,34 +1,40 @@
 """Message encodings: a list of 32-bit indices, or a bitmap over the receiver's block; and the switch.
 
 A message of n indices into nb places takes 4n bytes as a list and ceil(nb / 8) as a bitmap; from
-T = nb div 32 on, a list is the longer one.  Bitmaps are kept in buckets of 2**15 bits, Spark's own size.
+T = nb div 32 on, a list is the longer one.  A message travels in buckets of 2**15 places; a bucket's bitmap
+is an array of 64-bit words, so packing, merging and unpacking are JVM expressions and aggregations: they
+run where the rows are, keep their placement and need no exchange but the message's own.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import numpy as np
-import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-BUCKET_BITS = 1 << 15
-INDEX_BYTES = 4
+BUCKET_BITS, WORD_BITS = 1 << 15, 64
+INDEX_BYTES, WORD_BYTES = 4, 8
 
 
 def bucket(index: Column) -> Column:
-    return F.floor(index / BUCKET_BITS).cast("long")
+    return F.shiftright(index, BUCKET_BITS.bit_length() - 1).cast("int")
 
 
 def place(index: Column) -> Column:
-    return (index % BUCKET_BITS).cast("long")
+    return index.bitwiseAND(BUCKET_BITS - 1).cast("int")
+
+
+def word(index: Column) -> Column:
+    return F.shiftright(index, 6).cast("int")
+
 
+def bit(index: Column) -> Column:
+    """The index as a bit of its word."""
+    return F.call_function("shiftleft", F.lit(1).cast("long"), index.bitwiseAND(WORD_BITS - 1).cast("int"))
 
-def bit_set(bits: str, at: Column) -> Column:
-    """Whether a bit of a bucket is set."""
-    byte = F.conv(F.hex(F.substring(F.col(bits), (at / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
-    return F.get(F.array(*(byte.bitwiseAND(1 << i) for i in range(8))), (at % 8).cast("int")) > 0
+
+def bit_set(bits: Column, index: Column) -> Column:
+    """Whether the index's bit of its word is set."""
+    return bits.bitwiseAND(bit(index)) != 0
 
 
 def bitmap_bytes(nb: int) -> int:
@@ -52,43 +58,42 @@ def sized(messages: DataFrame, nb: int) -> DataFrame:
     )
 
 
-def pack(indices: DataFrame, keys: list[str], index: str, nb: int, codec: str = "auto") -> DataFrame:
-    """(keys, bucket, kind, n, idx, bits): one message for each key, in buckets; n counts the whole message."""
-    grouped = indices.select(*keys, bucket(F.col(index)).alias("bucket"), place(F.col(index)).alias("place"))
-    counts = grouped.groupBy(*keys).agg(F.count("*").alias("n"))
-    rows = grouped.join(counts.hint("merge"), keys)
-    kind = {"list": F.lit("list"), "bitmap": F.lit("bitmap"), "auto": F.when(F.col("n") > switch_threshold(nb), "bitmap").otherwise("list")}[codec]
-    out = rows.withColumn("kind", kind).groupBy(*keys, "bucket", "kind", "n").agg(
-        F.collect_list(F.when(F.col("kind") == "list", F.col("place").cast("int"))).alias("idx"), F.bitmap_construct_agg(F.when(F.col("kind") == "bitmap", F.col("place"))).alias("bits")
+def words_of(nb: int, of_bucket: Column) -> Column:
+    """Words of one bucket's bitmap: the last bucket may be short."""
+    return F.least(F.lit(BUCKET_BITS // WORD_BITS), F.ceil((F.lit(nb) - of_bucket.cast("long") * BUCKET_BITS) / WORD_BITS)).cast("int")
+
+
+def pack(indices: DataFrame, keys: list[str], index: str) -> DataFrame:
+    """(keys, bucket, held, idx, set_words): the indices of each key by buckets, as a list and as words with a bit set.
+
+    It is one aggregation by (keys, bucket) over one by words: rows that are placed by a key stay where they are.
+    """
+    rows = indices.select(*keys, bucket(F.col(index)).alias("bucket"), place(F.col(index)).alias("place"))
+    by_word = rows.groupBy(*keys, "bucket", word(F.col("place")).alias("word")).agg(F.bit_or(bit(F.col("place"))).alias("bits"), F.collect_list("place").alias("places"))
+    return by_word.groupBy(*keys, "bucket").agg(
+        F.sum(F.size("places")).cast("long").alias("held"), F.flatten(F.collect_list("places")).alias("idx"), F.map_from_entries(F.collect_list(F.struct("word", "bits"))).alias("set_words")
     )
-    return out.withColumn("bits", F.when(F.col("kind") == "bitmap", F.col("bits")))
-
-
-def unpack(messages: DataFrame, keys: list[str], index: str) -> DataFrame:
-    """(keys, index): one row for each index, from lists and bitmaps alike."""
-    types = dict(messages.dtypes)
-    schema = ", ".join([*(f"`{k}` {types[k]}" for k in keys), f"`{index}` long"])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            at = batch.schema.get_field_index
-            found = []
-            for kind, base, idx, bits in zip(*(batch.column(at(c)).to_pylist() for c in ("kind", "bucket", "idx", "bits"))):
-                own = np.array(idx, dtype=np.int64) if kind == "list" else np.flatnonzero(np.unpackbits(np.frombuffer(bits, dtype=np.uint8), bitorder="little"))
-                found.append(own + base * BUCKET_BITS)
-            rows = np.repeat(np.arange(batch.num_rows), [len(x) for x in found])
-            yield pa.RecordBatch.from_arrays([*(batch.column(at(k)).take(pa.array(rows)) for k in keys), pa.array(np.concatenate(found), pa.int64())], names=[*keys, index])
-
-    return messages.select(*keys, "bucket", "kind", "idx", "bits").mapInArrow(run, schema)
-
-
-def through_messages(sent: DataFrame, layout, codec: str, tasks: int) -> DataFrame:
-    """Found vertices (cell, from, value, sender) to their owners as packed messages, by block-local index."""
-    nb = layout.grid.nb
-    local = sent.select("from", "cell", "sender", (F.col("value") % nb).alias("index"), layout.grid.column_of_row(F.col("value")).alias("column"))
-    keys = ["from", "cell", "sender", "column"]
-    moved = pack(local, keys, "index", nb, codec).repartitionById(tasks, "cell")
-    rows = unpack(moved, keys, "index")
-    return rows.select("cell", (F.col("column") * nb + F.col("index")).cast("int").alias("value"), "sender").repartitionById(tasks, "cell")
+
+
+def messages(indices: DataFrame, keys: list[str], index: str, nb: int, codec: str = "auto") -> DataFrame:
+    """(keys, bucket, kind, n, idx, words): one message for each key, in buckets; n counts the whole message."""
+    if codec not in ("list", "bitmap", "auto"):
+        raise ValueError(f"codec is 'list', 'bitmap' or 'auto', not {codec!r}")
+    kind = F.when(F.col("n") > switch_threshold(nb), "bitmap").otherwise("list") if codec == "auto" else F.lit(codec)
+    dense = F.transform(F.sequence(F.lit(0), words_of(nb, F.col("bucket")) - 1), lambda w: F.coalesce(F.element_at("set_words", w), F.lit(0).cast("long")))
+    out = pack(indices, keys, index).withColumn("n", F.sum("held").over(Window.partitionBy(*keys))).withColumn("kind", kind)
+    return out.select(*keys, "bucket", "kind", "n", F.when(F.col("kind") == "list", F.col("idx")).alias("idx"), F.when(F.col("kind") == "bitmap", dense).alias("words"))
+
+
+def payload() -> Column:
+    """Bytes of a message row's list or bitmap."""
+    return F.when(F.col("kind") == "list", F.size("idx") * INDEX_BYTES).otherwise(F.size("words") * WORD_BYTES).cast("long")
+
+
+def unpack(sent: DataFrame, keys: list[str], index: str) -> DataFrame:
+    """(keys, index): one row for each index, from lists and bitmaps alike, where the messages are."""
+    places = F.sequence(F.lit(0), F.lit(WORD_BITS - 1))
+    own = lambda w, i: F.when(w != 0, F.transform(F.filter(places, lambda b: bit_set(w, b)), lambda b: i * WORD_BITS + b)).otherwise(F.array().cast("array<int>"))
+    held = F.when(F.col("kind") == "list", F.col("idx")).otherwise(F.flatten(F.transform("words", own)))
+    rows = sent.select(*keys, "bucket", F.explode(held).alias("place"))
+    return rows.select(*keys, (F.col("bucket").cast("long") * BUCKET_BITS + F.col("place")).alias(index))

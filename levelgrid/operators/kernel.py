@@ -13,7 +13,6 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
-
 def exclusive_scan(frontier: DataFrame, run: int = 1 << 16) -> DataFrame:
     """`frontier` (k, degree) with `before`, the degrees of smaller k summed: run totals first, then inside each run."""
     cut = frontier.withColumn("run", F.floor(F.col("k") / run))
@@ -69,5 +68,3 @@ def expand_cells(gathered: DataFrame, adjacency: DataFrame, group: int = 1) -> D
         return pa.table([pa.array(np.full(len(found), cell), kinds[0]), pa.array(keys[rows][k] if len(rows) else [], kinds[1]), pa.array(found, kinds[2])], names=names)
 
     return gathered.groupBy("cell").cogroup(adjacency.select("cell", "key", "targets").groupBy("cell")).applyInArrow(run, schema)
-
-

@@ -17,6 +17,13 @@ def tuples_traversed(edges: DataFrame, levels: DataFrame) -> int:
     return edges.join(levels.select(F.col("v").alias("src")), "src", "left_semi").count()
 
 
+def per_root(edges: DataFrame, found: DataFrame) -> DataFrame:
+    """(root, depth, vertices, tuples) of many searches (root, v, level): with its seconds, a root's rate."""
+    sizes = found.groupBy("root").agg(F.max("level").alias("depth"), F.count("*").alias("vertices"))
+    work = edges.join(found.select("root", F.col("v").alias("src")), "src").groupBy("root").agg(F.count("*").alias("tuples"))
+    return sizes.join(work, "root", "left").select("root", "depth", "vertices", F.coalesce("tuples", F.lit(0)).alias("tuples"))
+
+
 def teps(tuples: int, seconds: float) -> float:
     return tuples / seconds if seconds > 0 else float("inf")
 

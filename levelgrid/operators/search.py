@@ -8,26 +8,36 @@ One loop serves the grid and the modulo layout, and all variants:
 * `parents`: 'late' folds vertices only and asks the sender for the parent at the end; 'eager' sends it;
 * `rule`: 'owner_first' prefers the parent that the owner itself found, else that of the first sender;
   'smallest' takes the smallest parent of all (it needs eager parents and no memory of earlier levels);
-* `codec`: None moves rows; 'list', 'bitmap' or 'auto' moves packed messages;
-* `kernel`: 'sql' expands by join and explode, 'arrow' by a scan and binary search for each cell.
+* `codec`: None moves rows; 'list', 'bitmap' or 'auto' moves packed messages in both exchanges;
+* `kernel`: 'sql' expands by join and explode, 'arrow' by a scan and binary search for each cell, a group of
+  `group` edges for each search;
+* `state`: 'set' tests membership against rows, 'bits' against the packed bitmap of all a cell has reached.
 
-A level reads adjacency in place and moves frontiers and found vertices only.  State does not grow: in
-an undirected graph a cell finds a vertex again at most two levels after it found it first, so two slices
-of what was found and visited answer all membership tests.
+A level reads the stretches of the sorted adjacency that its frontier touches, in place, and moves frontiers and
+foreign vertices only: vertices that the discovering cell owns join the new frontier without an exchange.
+Membership tests are one aggregation with what is known, which lies in place.  As a set, what must be known does not
+grow: in an undirected graph a cell finds a vertex again at most two levels after it found it first, so two slices
+of what was found and received answer all tests.  As bits, it is one bit a row and cell.
+
+Inside the frames a cell stands as its seat (`plans.layout`); messages name cells by number.
 """
 
 from __future__ import annotations
 
 import time
 from dataclasses import dataclass, field
+from functools import reduce
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from levelgrid.operators import codec as packing
 from levelgrid.operators.kernel import expand_cells
-from levelgrid.plans.layout import PLACED, PlacedGraph
-from levelgrid.plans.state import held, settled
+from levelgrid.plans.layout import PLACED, Layout, PlacedGraph, either
+from levelgrid.plans.state import held, released, settled
+
+#: slices of one kind are gathered in one frame when there are so many
+SLICES = 32
 
 
 @dataclass
@@ -38,15 +48,19 @@ class Search:
     root: int
     dedup: str
     late: bool
+    codec: str | None = None
     fronts: list[DataFrame] = field(default_factory=list)  # (cell, key, value, sender, u, level)
     found: list[DataFrame] = field(default_factory=list)  # (cell, value, key, owner, level)
     seconds: list[tuple[int, str, float]] = field(default_factory=list)
 
     def _all(self, slices: list[DataFrame]) -> DataFrame:
-        out = slices[0]
-        for x in slices[1:]:
-            out = out.unionAll(x)
-        return out
+        return reduce(DataFrame.unionAll, slices)
+
+    def _gather(self, recent: int = 8) -> None:
+        """Older slices become one, so that the plan does not grow with the number of levels."""
+        for slices in (self.fronts, self.found):
+            if len(slices) >= SLICES + recent:
+                slices[:-recent] = [settled(self._all(slices[:-recent]))]
 
     def levels(self) -> DataFrame:
         """(v, level)."""
@@ -71,27 +85,126 @@ class Search:
         """(level, sender, receiver, vertices) of the expand exchanges; the frontier of level L is sent in round L + 1."""
         layout = self.graph.layout
         fronts = self._all(self.fronts).groupBy("level", "cell").agg(F.count("*").alias("vertices"))
-        sent = fronts.select((F.col("level") + 1).alias("level"), F.col("cell").alias("sender"), F.explode(layout.expand_cells(F.col("cell"))).alias("receiver"), "vertices")
-        return sent.where("sender <> receiver")
+        sent = fronts.select((F.col("level") + 1).alias("level"), F.col("cell").alias("from"), F.explode(layout.expand_cells(F.col("cell"))).alias("to"), "vertices").where("from <> to")
+        return sent.select("level", layout.number(F.col("from")).alias("sender"), layout.number(F.col("to")).alias("receiver"), "vertices")
 
     def fold_messages(self) -> DataFrame:
         """(level, sender, receiver, vertices) of the fold exchanges: vertices, or edges when nothing is removed before."""
-        sent = self._all(self.found).where("cell <> owner")
-        return sent.groupBy("level", F.col("cell").alias("sender"), F.col("owner").alias("receiver")).agg(F.count("*").alias("vertices"))
+        number = self.graph.layout.number
+        sent = self._all(self.found).where("cell <> owner").groupBy("level", "cell", "owner").agg(F.count("*").alias("vertices"))
+        return sent.select("level", number(F.col("cell")).alias("sender"), number(F.col("owner")).alias("receiver"), "vertices")
+
+    def sent_messages(self) -> DataFrame:
+        """(phase, level, sender, receiver, kind, vertices, bytes) of packed messages as they were sent; bytes are those of the lists and bitmaps themselves."""
+        if self.codec is None:
+            raise ValueError("this search moved rows, not packed messages")
+        layout = self.graph.layout
+        fold = packing.messages(fold_rows(self._all(self.found), layout, "level"), ["level", "cell", "to"], "index", layout.nb, self.codec)
+        fold = fold.select(F.lit("fold").alias("phase"), "level", F.col("cell").alias("from"), "to", "kind", "n", packing.payload().alias("bytes"))
+        front = self._all(self.fronts).select((F.col("level") + 1).alias("level"), "cell", layout.key_index(F.col("key")).alias("index"))
+        expand = packing.messages(front, ["level", "cell"], "index", layout.nb, self.codec)
+        expand = expand.select(F.lit("expand").alias("phase"), "level", F.col("cell").alias("from"), F.explode(layout.expand_cells(F.col("cell"))).alias("to"), "kind", "n", packing.payload().alias("bytes")).where("from <> to")
+        told = fold.unionAll(expand).groupBy("phase", "level", "from", "to", "kind").agg(F.max("n").alias("vertices"), F.sum("bytes").alias("bytes"))
+        return told.select("phase", "level", layout.number(F.col("from")).alias("sender"), layout.number(F.col("to")).alias("receiver"), "kind", "vertices", "bytes")
 
     def phases(self) -> DataFrame:
         return self.graph.adjacency.sparkSession.createDataFrame(self.seconds, "level int, phase string, seconds double")
 
 
-def _kept_once(scanned: DataFrame, once: str) -> DataFrame:
+def _once(scanned: DataFrame, known: list[DataFrame], once: str) -> DataFrame:
+    """(cell, value, key): one edge for each found vertex, the one with the smallest key, without known vertices."""
+    rows = scanned.select("cell", "value", "key", F.lit(0).alias("old"))
+    key = rows.schema["key"].dataType
+    for slice_ in known:
+        rows = rows.unionAll(slice_.select("cell", "value", F.lit(None).cast(key).alias("key"), F.lit(1).alias("old")))
     if once == "atomic":
-        return scanned.groupBy("cell", "value").agg(F.min("key").alias("key"))
+        return rows.groupBy("cell", "value").agg(F.min("key").alias("key"), F.max("old").alias("old")).where("old = 0").drop("old")
     if once == "compact":
-        nth = F.row_number().over(Window.partitionBy("cell", "value").orderBy("key"))
-        return scanned.withColumn("nth", nth).where("nth = 1").drop("nth")
+        nth = F.row_number().over(Window.partitionBy("cell", "value").orderBy(F.desc("old"), "key"))
+        return rows.withColumn("nth", nth).where("nth = 1 and old = 0").drop("nth", "old")
     raise ValueError(f"once is 'atomic' or 'compact', not {once!r}")
 
 
+def _without(found: DataFrame, *known: DataFrame) -> DataFrame:
+    columns = found.columns
+    for slice_ in known:
+        found = found.join(slice_.select("cell", "value").hint("merge"), ["cell", "value"], "left_anti")
+    return found.select(*columns)
+
+
+class Reached:
+    """The packed bitmap of all that a cell has reached, its own and foreign rows alike: (cell, word, bits) of words with a bit set, in place."""
+
+    def __init__(self):
+        self.state: DataFrame | None = None
+
+    def add(self, *more: DataFrame) -> None:
+        rows = [x.select("cell", packing.word(F.col("value")).alias("word"), packing.bit(F.col("value")).alias("bits")) for x in more]
+        before = self.state
+        rows += [] if before is None else [before]
+        self.state = settled(reduce(DataFrame.unionAll, rows).groupBy("cell", "word").agg(F.bit_or("bits").alias("bits")).sortWithinPartitions("cell", "word"))
+        if before is not None:
+            released(before)
+
+    def without(self, found: DataFrame) -> DataFrame:
+        told = found.withColumn("word", packing.word(F.col("value"))).join(self.state.hint("merge"), ["cell", "word"], "left")
+        return told.where(F.col("bits").isNull() | ~packing.bit_set(F.col("bits"), F.col("value"))).select(*found.columns)
+
+
+def expanded(front: DataFrame, graph: PlacedGraph, codec: str | None) -> DataFrame:
+    """(cell, key) of the frontier at all cells that hold edges of it: one exchange, none where a cell has no others to send to."""
+    layout = graph.layout
+    if not layout.expands:
+        return front.select("cell", "key")
+    if codec is None:
+        return front.select(F.explode(layout.expand_cells(F.col("cell"))).alias("cell"), "key").repartition(layout.cells, "cell")
+    sent = packing.messages(front.select("cell", layout.key_index(F.col("key")).alias("index")), ["cell"], "index", layout.nb, codec)
+    sent = sent.withColumnRenamed("cell", "from").withColumn("cell", F.explode(layout.expand_cells(F.col("from")))).repartition(layout.cells, "cell")
+    told = packing.unpack(sent, ["cell", "from"], "index")
+    return told.select("cell", layout.key_from(F.col("from"), F.col("index")).alias("key"))
+
+
+def fold_rows(found: DataFrame, layout: Layout, *also: str) -> DataFrame:
+    """(also, cell, to, index): foreign vertices by their place in the owner's block."""
+    return found.where("cell <> owner").select(*also, "cell", F.col("owner").alias("to"), layout.index(F.col("value")).alias("index"))
+
+
+def folded(found: DataFrame, graph: PlacedGraph, codec: str | None, late: bool) -> DataFrame:
+    """(cell, value, sender, u) of foreign vertices at their owners: one exchange."""
+    layout, nothing = graph.layout, F.lit(None).cast("long").alias("u")
+    if codec is None:
+        sent = found.where("cell <> owner").select(
+            F.col("owner").alias("cell"), "value", layout.sender(F.col("cell")).alias("sender"), nothing if late else layout.source(F.col("cell"), F.col("key")).alias("u")
+        )
+        return sent.repartition(layout.cells, "cell")
+    sent = packing.messages(fold_rows(found, layout), ["cell", "to"], "index", layout.nb, codec)
+    sent = sent.select(F.col("to").alias("cell"), layout.sender(F.col("cell")).alias("sender"), "bucket", "kind", "idx", "words").repartition(layout.cells, "cell")
+    told = packing.unpack(sent, ["cell", "sender"], "index")
+    return told.select("cell", layout.value_from(F.col("cell"), F.col("index")).alias("value"), "sender", nothing)
+
+
+def _fresh(sent: DataFrame, known: list[DataFrame], late: bool) -> DataFrame:
+    """(cell, value, sender, u): of each received vertex that is not known, the first sender and its smallest parent."""
+    rows = sent.select("cell", "value", "sender", "u", F.lit(0).alias("old"))
+    for slice_ in known:
+        rows = rows.unionAll(slice_.select("cell", "value", F.lit(None).cast("int").alias("sender"), F.lit(None).cast("long").alias("u"), F.lit(1).alias("old")))
+    if late:
+        told = rows.groupBy("cell", "value").agg(F.min("sender").alias("sender"), F.max("old").alias("old"))
+        return told.where("old = 0").select("cell", "value", "sender", F.lit(None).cast("long").alias("u"))
+    told = rows.groupBy("cell", "value", "sender").agg(F.min("u").alias("u"), F.max("old").alias("old"))
+    told = told.groupBy("cell", "value").agg(F.min(F.when(F.col("old") == 0, F.struct("sender", "u"))).alias("best"), F.max("old").alias("old"))
+    return told.where("old = 0").select("cell", "value", "best.sender", "best.u")
+
+
+def _smallest(own: DataFrame, sent: DataFrame, known: list[DataFrame]) -> DataFrame:
+    """(cell, value, sender, u): of each vertex that is not known, the smallest parent, whoever found it."""
+    rows = reduce(DataFrame.unionAll, [x.select("cell", "value", F.struct("u", "sender").alias("best"), F.lit(0).alias("old")) for x in (own, sent)])
+    for slice_ in known:
+        rows = rows.unionAll(slice_.select("cell", "value", F.lit(None).cast(rows.schema["best"].dataType).alias("best"), F.lit(1).alias("old")))
+    told = rows.groupBy("cell", "value").agg(F.min("best").alias("best"), F.max("old").alias("old"))
+    return told.where("old = 0").select("cell", "value", "best.sender", "best.u")
+
+
 def search(
     graph: PlacedGraph,
     root: int,
@@ -101,86 +214,103 @@ def search(
     once: str = "atomic",
     codec: str | None = None,
     kernel: str = "sql",
+    group: int = 1,
     state: str = "set",
     max_level: int | None = None,
     profile: bool = False,
 ) -> Search:
     """Searches from `root`; with `profile` each phase is materialised and timed by itself."""
-    if dedup not in ("receiver", "level", "history") or parents not in ("late", "eager") or rule not in ("owner_first", "smallest") or state not in ("set", "bits"):
+    if dedup not in ("receiver", "level", "history") or parents not in ("late", "eager") or rule not in ("owner_first", "smallest") or state not in ("set", "bits") or kernel not in ("sql", "arrow"):
         raise ValueError("unknown variant")
     if rule == "smallest" and (parents == "late" or dedup == "history"):
         raise ValueError("the smallest parent needs eager parents and all senders of a level")
     if codec and parents == "eager":
         raise ValueError("packed messages carry vertices only")
-    layout, spark = graph.layout, graph.adjacency.sparkSession
-    late = parents == "late"
-    out = Search(graph, root, dedup, late)
+    if codec and dedup == "receiver":
+        raise ValueError("packed messages carry a vertex once: remove repeats before they are sent")
+    if state == "bits" and dedup != "history":
+        raise ValueError("the bitmap of a cell is its history")
+    layout, spark, late = graph.layout, graph.adjacency.sparkSession, parents == "late"
+    if codec:
+        layout.nb  # noqa: B018 - says what is missing
+    out = Search(graph, root, dedup, late, codec)
+    clock = 0.0
+
+    def passed(level: int, phase: str, frame: DataFrame | None = None) -> DataFrame | None:
+        """Ends a phase; a frame that is not kept yet is."""
+        nonlocal clock
+        if profile:
+            frame = frame if frame is None else settled(frame)
+            out.seconds.append((level, phase, time.perf_counter() - clock))
+            clock = time.perf_counter()
+        return frame
+
+    def watched(frame: DataFrame, new: Column) -> tuple[DataFrame, int, bytes]:
+        """The frame in reliable storage, how many keys it adds to the frontier, and the blocks of the key space that they are in."""
+        seen = Observation()
+        frame = settled(frame.observe(seen, F.count(new).alias("n"), graph.watched(new).alias("blocks")))
+        told = seen.get
+        return frame, told["n"], bytes(told["blocks"])
+
+    # expressions over the columns of the frames: the same in every level
+    cell, value = F.col("cell"), F.col("value")
+    owner, mine, key_of_own = layout.owner_of_value(cell, value).alias("owner"), cell == F.col("owner"), layout.key_at_owner(cell, value)
+    sender, source = layout.sender(cell).alias("sender"), (F.lit(None).cast("long") if late else layout.source(cell, F.col("key"))).alias("u")
+    found_new, fresh_new = F.when(mine, key_of_own), F.col("key")
+    as_front = lambda frame, level: frame.select("cell", key_of_own.alias("key"), "value", "sender", "u", F.lit(level).alias("level"))
+
     with held(spark, PLACED):
-        front = spark.range(1).select(*(x.alias(k) for k, x in layout.root(root).items()), F.lit(None).cast("int").alias("sender"), F.lit(root).cast("long").alias("u"), F.lit(0).alias("level"))
-        front = settled(front.repartitionById(graph.tasks, "cell"))
+        # from a column, not a constant: Spark would not know where a constant was dealt to
+        start = spark.range(root, root + 1).select(*(x.alias(k) for k, x in layout.root(F.col("id")).items()), F.lit(None).cast("int").alias("sender"), F.col("id").alias("u"), F.lit(0).alias("level"))
+        front, n, blocks = watched(start.repartition(layout.cells, "cell"), fresh_new)
         out.fronts.append(front)
-        visited = [front.select("cell", "value")]
-        seen: list[DataFrame] = []
+        #: of the last levels: what the cells found, what of it they own, and what they received
+        found_before: list[DataFrame] = []
+        own_before: list[DataFrame] = []
+        received_before: list[DataFrame] = [front]
+        reached = Reached() if state == "bits" else None
+        if reached:
+            reached.add(front)
         level = 0
-        while max_level is None or level < max_level:
+        while n and (max_level is None or level < max_level):
             level += 1
             clock = time.perf_counter()
-
-            def passed(phase: str, frame: DataFrame) -> DataFrame:
-                nonlocal clock
-                if profile:
-                    frame = settled(frame)
-                    out.seconds.append((level, phase, time.perf_counter() - clock))
-                    clock = time.perf_counter()
-                return frame
-
-            gathered = front.select(F.explode(layout.expand_cells(F.col("cell"))).alias("cell"), "key")
-            gathered = passed("expand", gathered.repartitionById(graph.tasks, "cell"))
+            gathered = passed(level, "expand", expanded(front, graph, codec))
+            adjacency = graph.touched(blocks)
             if kernel == "arrow":
-                scanned = expand_cells(gathered, graph.adjacency)
+                scanned = expand_cells(gathered, adjacency, group).repartition(layout.cells, "cell")
             else:
-                scanned = gathered.join(graph.adjacency.hint("merge"), ["cell", "key"]).select("cell", "key", F.explode("targets").alias("value"))
-            found = scanned.select("cell", "value", "key")
-            if dedup != "receiver":
-                found = _kept_once(found, once)
-            owner = layout.owner_of_value(F.col("cell"), F.col("value"))
-            known = [s.select("cell", "value") for s in seen[-2:]] if dedup == "history" else []
-            for slice_ in [*known, *visited[-2:]]:
-                found = _without(found, slice_, state)
-            found = settled(found.withColumn("owner", owner).withColumn("level", F.lit(level)))
+                scanned = gathered.join(adjacency.hint("merge"), ["cell", "key"]).select("cell", "key", F.explode("targets").alias("value"))
+            known = [] if reached else [*(found_before[-2:] if dedup == "history" else own_before[-2:]), *received_before[-2:]]
+            found = _without(scanned.select("cell", "value", "key"), *known) if dedup == "receiver" else _once(scanned, known, once)
+            found = reached.without(found) if reached else found
+            found, n, blocks = watched(found.select("cell", "value", "key", owner, F.lit(level).alias("level")), found_new)
             out.found.append(found)
-            seen.append(found)
-            if profile:
-                passed("expansion", found)
-            sent = found.select(F.col("owner").alias("cell"), "value", layout.sender(F.col("cell")).alias("sender"), layout.source(F.col("cell"), F.col("key")).alias("u"), F.col("cell").alias("from"))
-            if codec:
-                sent = packing.through_messages(sent.select("cell", "from", "value", "sender"), layout, codec, graph.tasks).withColumn("u", F.lit(None).cast("long"))
+            own = found.where(mine)
+            own = own.groupBy("cell", "value").agg(F.min("key").alias("key")) if dedup == "receiver" else own
+            own = own.select("cell", "value", sender, source)
+            passed(level, "expansion")
+            front, received = as_front(own, level), None
+            if layout.folds:
+                sent = passed(level, "fold", folded(found, graph, codec, late))
+                known = [] if reached else [*own_before[-2:], *received_before[-2:]]
+                if rule == "smallest":
+                    front, n, blocks = watched(as_front(_smallest(own, sent, known), level), fresh_new)
+                    own, received = front, None
+                else:
+                    fresh = _fresh(sent, [own, *known], late)
+                    fresh = reached.without(fresh) if reached else fresh
+                    received, more, more_blocks = watched(as_front(fresh, level), fresh_new)
+                    front, n, blocks = front.unionAll(received), n + more, either(blocks, more_blocks)
             else:
-                sent = sent.drop("from").repartitionById(graph.tasks, "cell")
-                sent = sent.withColumn("u", F.lit(None).cast("long")) if late else sent
-            sent = passed("fold", sent)
-            own = layout.sender(F.col("cell"))
-            order = F.struct((F.col("sender") != own).alias("foreign"), "sender", "u") if rule == "owner_first" else F.struct("u", "sender")
-            fresh = sent.groupBy("cell", "value").agg(F.min(order).alias("best"))
-            for slice_ in visited[-2:]:
-                fresh = fresh.join(slice_.hint("merge"), ["cell", "value"], "left_anti")
-            fresh = fresh.select("cell", layout.key_at_owner(F.col("cell"), F.col("value")).alias("key"), "value", F.col("best.sender").cast("int").alias("sender"), F.col("best.u").alias("u"), F.lit(level).alias("level"))
-            front = settled(fresh)
-            n = front.count()
-            if profile:
-                passed("update", front)
-            if not n:
-                break
-            out.fronts.append(front)
-            visited.append(front.select("cell", "value"))
+                passed(level, "fold")
+            passed(level, "update")
+            if n:
+                out.fronts.append(front)
+                found_before.append(found)
+                own_before.append(own)
+                received_before += [] if received is None else [received]
+                if reached:
+                    reached.add(found, *([] if received is None else [received]))
+                out._gather()
     return out
-
-
-def _without(found: DataFrame, known: DataFrame, state: str) -> DataFrame:
-    """Found vertices that a slice of known ones does not hold; slices are sets of rows or packed bits."""
-    if state == "set":
-        return found.join(known.hint("merge"), ["cell", "value"], "left_anti")
-    bits = known.select("cell", packing.bucket(F.col("value")).alias("bucket"), packing.place(F.col("value")).alias("place"))
-    bits = bits.groupBy("cell", "bucket").agg(F.bitmap_construct_agg("place").alias("bits"))
-    told = found.withColumn("bucket", packing.bucket(F.col("value"))).join(bits.hint("merge"), ["cell", "bucket"], "left")
-    return told.where(F.col("bits").isNull() | ~packing.bit_set("bits", packing.place(F.col("value")))).select(found.columns)

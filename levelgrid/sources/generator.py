@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition, SimpleDataSourceStreamReader
 
-from levelgrid.sources.graphs import PRIME, SEED_STEP, SHIFT, SPREAD, STEP
+from levelgrid.sources.graphs import PRIME, SEED_STEP, SHIFT, SPREAD, STEP, drift
 
 CUTS = tuple(round(x * PRIME) for x in (0.57, 0.76, 0.95))
 BATCH = 1 << 16
@@ -18,9 +18,10 @@ BATCH = 1 << 16
 def tuples_of(ids: np.ndarray, scale: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
     """(src, dst) of some tuple numbers; the same numbers as the Column form."""
     x = ((ids * SPREAD + seed * SEED_STEP + SHIFT) % (PRIME - 1) + 1) * (STEP * SPREAD % PRIME) % PRIME
+    lap = ids // (PRIME - 1)
     src, dst = np.zeros_like(ids), np.zeros_like(ids)
     for k in range(scale):
-        state = x * pow(STEP, k, PRIME) % PRIME
+        state = (x * pow(STEP, k, PRIME) + lap * drift(k)) % PRIME
         quadrant = np.searchsorted(np.array(CUTS), state, side="right")
         src = src * 2 + (quadrant >> 1)
         dst = dst * 2 + (quadrant & 1)

@@ -24,6 +24,12 @@ def _size(spark: SparkSession, sf_dir: str, name: str) -> int:
     return load_table(spark, sf_dir, name).count()
 
 
+def _above(frame: DataFrame, name: str) -> int:
+    """One more than the largest value of a column; 0 in an empty table."""
+    most = frame.agg(F.max(name).alias("n")).first()["n"]
+    return 0 if most is None else most + 1
+
+
 def edges_from(frame: DataFrame, src: Column, dst: Column, where: Column | None = None) -> DataFrame:
     """Input tuples from any two expressions; the filter and the two columns reach the scan."""
     frame = frame if where is None else frame.where(where)
@@ -53,7 +59,7 @@ def customer_supplier(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def user_key(spark: SparkSession, sf_dir: str, where: Column | None = None) -> DataFrame:
     events = load_table(spark, sf_dir, "events")
-    users = events.agg(F.max("user_id").alias("n")).first()["n"] + 1
+    users = _above(events, "user_id")
     return edges_from(events, F.col("user_id"), F.get_json_object("props", "$.k").cast("long") + users, where)
 
 
@@ -68,7 +74,7 @@ def geography(spark: SparkSession, sf_dir: str) -> DataFrame:
 def conversation_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each turn to the next one of its conversation; id = conv_id * width + turn."""
     turns = load_table(spark, sf_dir, "conversations").select("conv_id", "turn").distinct()
-    width = turns.agg(F.max("turn").alias("n")).first()["n"] + 1
+    width = _above(turns, "turn")
     following = turns.select("conv_id", (F.col("turn") - 1).alias("turn"))
     return edges_from(turns.join(following, ["conv_id", "turn"]), F.col("conv_id") * width + F.col("turn"), F.col("conv_id") * width + F.col("turn") + 1)
 
@@ -146,19 +152,28 @@ PRIME, STEP, SPREAD, SHIFT = 2147483647, 48271, 69621, 12345
 SEED_STEP = 16807
 
 
+def drift(level: int) -> int:
+    """What the state of a level moves by for each time that the sequence has run through."""
+    return pow(SPREAD, level + 1, PRIME)
+
+
 def rmat_edges(spark: SparkSession, scale: int, edge_factor: int = 16, probs=(0.57, 0.19, 0.19, 0.05), seed: int = 42) -> DataFrame:
     """edge_factor * 2**scale tuples over 2**scale vertices: at each of `scale` levels a quadrant is drawn.
 
     Integer arithmetic only, so any engine gives the same tuples.  The state of level k is the first one
-    times STEP**k modulo PRIME, so no level waits for the one before.
+    times STEP**k modulo PRIME, so no level waits for the one before.  After PRIME - 1 tuples the first states
+    come again; from then on each level's state is moved by a step of its own, so tuples do not repeat as a sequence.
     """
     cuts = [round(sum(probs[: i + 1]) * PRIME) for i in range(3)]
-    ids = spark.range(edge_factor << scale)
+    total = edge_factor << scale
+    ids = spark.range(total)
+    lap = F.floor(F.col("id") / (PRIME - 1)) if total > PRIME - 1 else None
     first = ((F.col("id") * SPREAD + (seed * SEED_STEP + SHIFT)) % (PRIME - 1) + 1) * (STEP * SPREAD % PRIME) % PRIME
-    ids = ids.select(first.alias("x"))
+    ids = ids.select(first.alias("x"), *([] if lap is None else [lap.alias("lap")]))
     src, dst = F.lit(0).cast("long"), F.lit(0).cast("long")
     for k in range(scale):
         state = F.col("x") * pow(STEP, k, PRIME) % PRIME
+        state = state if lap is None else (state + F.col("lap") * drift(k)) % PRIME
         bit = 1 << (scale - 1 - k)
         src = src + F.when(state >= cuts[1], bit).otherwise(0)
         dst = dst + F.when(((state >= cuts[0]) & (state < cuts[1])) | (state >= cuts[2]), bit).otherwise(0)

@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from levelgrid.plans.state import ensure_checkpoint_dir, settled
+from levelgrid.plans.state import ensure_checkpoint_dir, released, settled
 
 EVENTS = T.StructType(
     [
@@ -26,9 +26,9 @@ EVENTS = T.StructType(
 )
 
 
-def edges_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1) -> DataFrame:
-    """(ts, src, dst, event_id) of the events table as a file stream."""
-    raw = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", "events.parquet").option("recursiveFileLookup", "false").parquet(sf_dir)
+def edges_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1, pattern: str = "events.parquet") -> DataFrame:
+    """(ts, src, dst, event_id) of the events table, or of a folder of such files, as a file stream: a batch for each few files."""
+    raw = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", pattern).option("recursiveFileLookup", "false").parquet(sf_dir)
     return raw.select("event_id", "ts", F.col("user_id").alias("src"), F.get_json_object("props", "$.k").cast("long").alias("dst"))
 
 
@@ -76,27 +76,39 @@ def late_rows(rows: DataFrame, late: str = "1 hour", arrival: str = "event_id")
 
 
 class IncrementalLevels:
-    """Levels from one root under edge insertions: levels only fall, so each batch relaxes from its own edges on."""
+    """Levels from one root under edge insertions: levels only fall, so each batch relaxes from its own edges on.
+
+    Edges are only ever added: a batch writes its new ones to a folder of its own, clustered by source, and the
+    levels are one slim frame that a round replaces, its predecessor's files deleted.
+    """
 
     def __init__(self, spark: SparkSession, root: int):
-        self.edges: DataFrame | None = None
+        self.spark, self.folder, self.batches = spark, f"{_folder(spark)}/edges", 0
         self.levels = settled(spark.range(root, root + 1).select(F.col("id").alias("v"), F.lit(0).alias("level")))
 
+    def edges(self) -> DataFrame:
+        """All edges so far, in both directions."""
+        if not self.batches:
+            return self.spark.createDataFrame([], "src long, dst long")
+        return self.spark.read.schema("src long, dst long").parquet(*(f"{self.folder}/{i}" for i in range(self.batches)))
+
     def insert(self, batch: DataFrame, number: int = 0) -> None:
-        both = batch.select("src", "dst").unionAll(batch.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct()
-        fresh = settled(both if self.edges is None else both.join(self.edges, ["src", "dst"], "left_anti"))
-        self.edges = fresh if self.edges is None else settled(self.edges.unionAll(fresh))
-        touched = fresh
+        both = batch.select("src", "dst").unionAll(batch.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).where("src <> dst").distinct()
+        both.join(self.edges(), ["src", "dst"], "left_anti").repartition("src").sortWithinPartitions("src").write.mode("overwrite").parquet(f"{self.folder}/{self.batches}")
+        touched = self.spark.read.schema("src long, dst long").parquet(f"{self.folder}/{self.batches}")
+        self.batches += 1
         while True:
             offered = touched.join(self.levels, touched["src"] == self.levels["v"]).groupBy(F.col("dst").alias("w")).agg((F.min("level") + 1).alias("offer"))
             better = settled(offered.join(self.levels, F.col("w") == F.col("v"), "left").where("level is null or offer < level").select("w", F.col("offer").cast("int").alias("offer")))
             if better.isEmpty():
                 return
-            self.levels = settled(self.levels.join(better, F.col("v") == F.col("w"), "full_outer").select(F.coalesce("w", "v").alias("v"), F.coalesce("offer", "level").alias("level")))
-            touched = self.edges.join(better.select(F.col("w").alias("src")), "src", "left_semi")
+            before = self.levels
+            self.levels = settled(before.join(better, F.col("v") == F.col("w"), "full_outer").select(F.coalesce("w", "v").alias("v"), F.coalesce("offer", "level").alias("level")))
+            released(before)
+            touched = self.edges().join(better.select(F.col("w").alias("src")), "src", "left_semi")
 
     def follow(self, stream: DataFrame) -> DataFrame:
-        """Takes a stream of (src, dst) to its end; (v, level) after it."""
+        """Takes a stream of (src, dst) to its end, batch by batch; (v, level) after it."""
         query = stream.select("src", "dst").writeStream.option("checkpointLocation", f"{_folder(stream.sparkSession)}/log").trigger(availableNow=True).foreachBatch(self.insert).start()
         query.awaitTermination()
         return self.levels

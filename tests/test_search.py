@@ -8,13 +8,14 @@ import pytest
 from pyspark.sql import functions as F
 
 from levelgrid.functions.grid import GridSpec
+from levelgrid.operators import codec, measures
 from levelgrid.operators import levels as plain
-from levelgrid.operators import measures
 from levelgrid.operators.prepare import symmetrize
-from levelgrid.operators.search import search
-from levelgrid.plans.layout import PLACED, GridLayout, ModuloLayout, build, grid_property_violations
+from levelgrid.operators.search import _fresh, _once, expanded, folded, search
+from levelgrid.plans.layout import PLACED, GridLayout, ModuloLayout, build, grid_property_violations, hash_of, seats, stretches
 from levelgrid.plans.state import held
-from levelgrid.sources.graphs import rmat_edges
+from levelgrid.sources import generator
+from levelgrid.sources.graphs import PRIME, rmat_edges
 
 TOY = [(0, 1), (0, 4), (1, 2), (1, 5), (2, 3), (2, 6), (3, 7), (4, 5), (5, 6), (6, 7)]
 OWNER_FIRST = [(0, 0, 0), (1, 1, 0), (2, 2, 1), (3, 3, 2), (4, 1, 0), (5, 2, 4), (6, 3, 5), (7, 4, 6)]
@@ -55,7 +56,7 @@ def toy(spark):
 
 @pytest.mark.parametrize(
     "options",
-    [{}, {"parents": "eager"}, {"codec": "auto"}, {"codec": "list"}, {"codec": "bitmap"}, {"kernel": "arrow"}, {"once": "compact"}, {"state": "bits"}, {"dedup": "level"}, {"dedup": "receiver"}],
+    [{}, {"parents": "eager"}, {"codec": "auto"}, {"codec": "list"}, {"codec": "bitmap"}, {"kernel": "arrow"}, {"kernel": "arrow", "group": 4}, {"once": "compact"}, {"state": "bits"}, {"dedup": "level"}, {"dedup": "receiver"}],
     ids=str,
 )
 def test_hand_graph_variants(toy, options):
@@ -134,13 +135,109 @@ def test_root_without_edges_and_empty_graph(spark):
     assert rows(plain.bfs_levels(graph_of(spark, []), 0)) == [(0, 0)]
 
 
-def test_edges_stay_in_place(spark, toy):
-    """A level's plan moves the frontier only: the adjacency is scanned without an exchange above it."""
+def executed(frame):
+    return frame._jdf.queryExecution().executedPlan().toString()
+
+
+def test_edges_stay_in_place_and_in_order(spark, toy):
+    """An expansion moves and sorts the frontier only; of the adjacency it reads the stretches that are asked for."""
     with held(spark, PLACED):
-        front = spark.createDataFrame([(0, 0)], "cell int, key int").repartitionById(4, "cell")
-        joined = front.join(toy.adjacency.hint("merge"), ["cell", "key"]).select("cell", F.explode("targets").alias("value"), "key")
-        plan = joined.groupBy("cell", "value").agg(F.min("key"))._jdf.queryExecution().executedPlan().toString()
-    assert plan.count("Exchange") == 1, plan
+        front = spark.createDataFrame([(0, 0)], "cell int, key int").repartition(4, "cell")
+        joined = front.join(toy.touched(bytes([5]), least=0).hint("merge"), ["cell", "key"]).select("cell", F.explode("targets").alias("value"), "key")
+        plan = executed(joined.groupBy("cell", "value").agg(F.min("key")))
+    assert plan.count("Exchange") == 1 and plan.count(" Sort ") == 1, plan
+    scan = next(x for x in plan.splitlines() if "InMemoryTableScan" in x)
+    assert "key#" in scan.split("], [")[1] and " OR " in scan, scan
+
+
+def test_stretches():
+    assert stretches([3, 4, 9]) == [(3, 4), (9, 9)] and stretches([]) == []
+    assert stretches([0, 5, 6, 100], most=2) == [(0, 6), (100, 100)]
+    every = sorted(random.Random(1).sample(range(256), 90))
+    assert all(any(a <= x <= b for a, b in stretches(every)) for x in every) and len(stretches(every)) <= 8
+
+
+@pytest.mark.parametrize("codec", [None, "list", "bitmap", "auto"])
+def test_one_exchange_a_phase(spark, toy, codec):
+    """Rows or packed messages: each phase moves them once, and their receivers take them where they arrive."""
+    with held(spark, PLACED):
+        front = spark.createDataFrame([(0, 1, 1), (1, 0, 2)], "cell int, key int, value int").repartition(4, "cell").checkpoint()
+        found = spark.createDataFrame([(0, 1, 0, 0, 1), (0, 3, 1, 1, 1)], "cell int, value int, key int, owner int, level int").repartition(4, "cell").checkpoint()
+        scanned = expanded(front.unionAll(front), toy, codec).join(toy.adjacency.hint("merge"), ["cell", "key"]).select("cell", "key", F.explode("targets").alias("value"))
+        expand = executed(_once(scanned, [found, front], "atomic"))
+        fold = executed(_fresh(folded(found, toy, codec, True), [found, front], True))
+    assert expand.count("Exchange") == 1, expand
+    assert fold.count("Exchange") == 1, fold
+
+
+def test_seats(spark):
+    told = spark.range(200).select(F.hash(F.col("id").cast("int")).alias("h")).collect()
+    assert [r["h"] for r in told] == [hash_of(i) for i in range(200)]
+    for cells in (1, 6, 16, 64):
+        assert [hash_of(x) % cells for x in seats(cells)] == list(range(cells))
+
+
+@pytest.mark.parametrize("nb,indices", [(64, [0, 63]), (100, list(range(100))), (70_000, [0, 1, 32767, 32768, 65535, 65536, 69_999]), (40_000, list(range(0, 40_000, 3)))])
+def test_messages_round_trip(spark, nb, indices):
+    """Whatever the encoding; short last buckets too."""
+    frame = spark.createDataFrame([(k, i) for k in (1, 2) for i in indices], "m int, i long")
+    for kind in ("list", "bitmap", "auto"):
+        sent = codec.messages(frame, ["m"], "i", nb, kind)
+        assert rows(codec.unpack(sent, ["m"], "i")) == sorted((k, i) for k in (1, 2) for i in indices)
+        told = sent.groupBy("m").agg(F.first("kind").alias("kind"), F.sum(codec.payload()).alias("bytes")).collect()
+        as_list = kind == "list" or (kind == "auto" and len(indices) <= nb // 32)
+        assert all(r["kind"] == ("list" if as_list else "bitmap") for r in told)
+        assert all(r["bytes"] == (4 * len(indices) if as_list else -(-nb // 64) * 8) for r in told)
+
+
+def test_packed_messages_as_they_are_sent(toy):
+    for kind in ("bitmap", "auto"):
+        sent = search(toy, 0, codec=kind).sent_messages()
+        told = {p: sorted(tuple(r)[1:4] + (r["vertices"],) for r in sent.where(F.col("phase") == p).collect()) for p in ("fold", "expand")}
+        assert told == {"fold": FOLD, "expand": EXPAND}
+    with pytest.raises(ValueError):
+        search(toy, 0).sent_messages()
+
+
+def test_packed_messages_on_the_modulo_layout(spark):
+    graph = graph_of(spark, TOY)
+    assert rows(search(build(graph, ModuloLayout(3, 8)), 0, codec="auto").levels()) == python_levels(TOY, 0)
+    unsized = build(graph, ModuloLayout(3))
+    assert rows(search(unsized, 0, state="bits").levels()) == python_levels(TOY, 0)
+    with pytest.raises(ValueError):
+        search(unsized, 0, codec="bitmap")
+
+
+def test_many_roots_at_once(spark):
+    draw = random.Random(3)
+    edges = [(draw.randrange(90), draw.randrange(90)) for _ in range(110)]
+    graph = graph_of(spark, edges)
+    roots = sorted({v for e in edges for v in e if e[0] != e[1]})
+    assert len(roots) > 64
+    told = plain.bfs_batched(graph, spark.createDataFrame([(r,) for r in roots], "root long"))
+    assert rows(told) == sorted((r, v, level) for r in roots for v, level in python_levels(edges, r))
+    assert plain.bfs_batched(graph, spark.createDataFrame([], "root long")).count() == 0
+
+
+def test_long_paths_keep_short_plans(spark):
+    n = 90
+    edges = [(i, i + 1) for i in range(n)]
+    found = plain.bfs_levels(graph_of(spark, edges), 0)
+    assert rows(found) == [(i, i) for i in range(n + 1)]
+    assert executed(found).count("Scan ExistingRDD") < 40
+
+
+def test_searches_share_placed_edges(spark):
+    placed = plain.by_source(graph_of(spark, TOY))
+    for root in (0, 5):
+        assert rows(plain.bfs_levels(placed, root)) == python_levels(TOY, root)
+    placed.close()
+
+
+def test_generator_does_not_repeat_after_its_period():
+    first = np.arange(1000, dtype=np.int64)
+    a, b = (generator.tuples_of(first + k * (PRIME - 1), 20, 42) for k in (0, 1))
+    assert (a[0] != b[0]).mean() > 0.9 and (a[1] != b[1]).mean() > 0.9
 
 
 def test_limits_and_paths(spark):
@@ -179,7 +276,6 @@ def test_chained_calls(spark):
 
 
 def test_generator_source(spark):
-    from levelgrid.sources import generator
     generator.register(spark)
     wanted = rows(rmat_edges(spark, 6))
     assert rows(spark.read.format("rmat").option("scale", 6).option("partitions", 3).load()) == wanted
