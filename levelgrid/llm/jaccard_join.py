@@ -404,9 +404,10 @@ def one_of_each(documents: DataFrame) -> DataFrame:
     class.  Rows equal in both are one; the smallest of them, by all columns, is kept.
     """
     stands = F.col("node").isNull() | (F.struct("doc_id", "text_key").eqNullSafe(F.struct("first.doc_id", "first.text_key")))
-    keep = classified(documents).where(stands).select("doc_id", "text_key").distinct()
-    # equal rows meet before the join, with partial sums in each task: many of them are no hot key
+    named = classified(documents).where(stands).groupBy("doc_id", "text_key").agg(F.count("*").alias("n"))
+    named = settled(named.select(F.col("doc_id").alias("kept"), F.col("text_key").alias("kept_key"), "n"))
     rows = documents.select(F.col("doc_id").cast("long").alias("of"), _text_key().alias("of_key"), F.struct("*").alias("row"))
-    rows = rows.groupBy("of", "of_key").agg(F.min("row").alias("row"))
-    kept = rows.join(keep, F.col("of").eqNullSafe(F.col("doc_id")) & (F.col("of_key") == F.col("text_key")), "left_semi")
-    return kept.select("row.*")
+    wanted = lambda keep: rows.join(keep, F.col("of").eqNullSafe(F.col("kept")) & (F.col("of_key") == F.col("kept_key")), "left_semi")
+    # only rows that are there more than once meet, after partial sums in each task: many of them are no hot key
+    more = wanted(named.where("n > 1")).groupBy("of", "of_key").agg(F.min("row").alias("row"))
+    return wanted(named.where("n = 1")).select("row.*").unionAll(more.select("row.*"))
