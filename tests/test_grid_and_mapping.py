@@ -58,7 +58,7 @@ def test_work_mapping_of_23_edges(spark):
 def test_codec_round_trip(spark, name):
     wanted = [(0, i) for i in (0, 1)] + [(1, i) for i in range(64)] + [(2, 63)] + [(3, i) for i in (32767, 32768, 65535)]
     nb = 70_000
-    packed = codec.pack(spark.createDataFrame(wanted, "m long, i long"), ["m"], "i", nb, name)
+    packed = codec.messages(spark.createDataFrame(wanted, "m long, i long"), ["m"], "i", nb, name)
     assert sorted(tuple(r) for r in codec.unpack(packed, ["m"], "i").collect()) == sorted(wanted)
     assert codec.unpack(packed.where("m > 9"), ["m"], "i").count() == 0
 
