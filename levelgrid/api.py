@@ -48,7 +48,7 @@ class GraphSearch:
         return self._laid(GridLayout(GridSpec(self.n, r, c)), chunk)
 
     def modulo(self, p: int, chunk: int = 4096) -> GraphSearch:
-        return self._laid(ModuloLayout(p), chunk)
+        return self._laid(ModuloLayout(p, self.n), chunk)
 
     def bfs(self, root: int, **options) -> Search:
         """A distributed search; without a layout, on one cell."""
