@@ -190,6 +190,32 @@ def test_messages_round_trip(spark, nb, indices):
         assert all(r["bytes"] == (4 * len(indices) if as_list else -(-nb // 64) * 8) for r in told)
 
 
+@pytest.mark.parametrize("indices", [[3], [40_000], [69_999], [5, 69_998]])
+def test_bitmaps_cover_the_whole_block(spark, indices):
+    """Buckets without an index are a part of a bitmap, before, between and after the others."""
+    frame = spark.createDataFrame([(1, i) for i in indices], "m int, i long")
+    sent = codec.messages(frame, ["m"], "i", 70_000, "bitmap")
+    assert [tuple(r) for r in sent.orderBy("bucket").select("bucket", F.size("words"), "n").collect()] == [(0, 512, len(indices)), (1, 512, len(indices)), (2, 70, len(indices))]
+    assert rows(codec.unpack(sent, ["m"], "i")) == [(1, i) for i in indices]
+
+
+def test_bytes_of_blocks_of_many_buckets(spark):
+    """A block of 70,000 places takes 1,094 words as a bitmap, however few of them are set; a list takes what it holds."""
+    far = [(u * 30_000, v * 30_000) for u, v in TOY]
+    placed = build(graph_of(spark, far), GridLayout(GridSpec(280_000, 2, 2)))
+    for kind, size in (("bitmap", lambda n: 1_094 * 8), ("auto", lambda n: 4 * n)):
+        found = search(placed, 0, codec=kind)
+        assert rows(found.levels()) == python_levels(far, 0)
+        assert all(r["bytes"] == size(r["vertices"]) for r in found.sent_messages().collect())
+
+
+def test_one_exchange_a_phase_in_blocks_of_many_buckets(spark):
+    with held(spark, PLACED):
+        placed = build(graph_of(spark, TOY), GridLayout(GridSpec(280_000, 2, 2)))
+        front = spark.createDataFrame([(0, 1, 1), (1, 0, 2)], "cell int, key int, value int").repartition(4, "cell").checkpoint()
+        assert executed(expanded(front, placed, "bitmap")).count("Exchange") == 1
+
+
 def test_packed_messages_as_they_are_sent(toy):
     for kind in ("bitmap", "auto"):
         sent = search(toy, 0, codec=kind).sent_messages()
