@@ -199,6 +199,16 @@ def test_bitmaps_cover_the_whole_block(spark, indices):
     assert rows(codec.unpack(sent, ["m"], "i")) == [(1, i) for i in indices]
 
 
+@pytest.mark.parametrize("start", [0, 33_000, 66_000])
+def test_auto_takes_the_whole_bitmap_or_the_list(spark, start):
+    """Above the switch a message that lies in one bucket is as long as any bitmap; at the switch it is a list without other buckets."""
+    for many, told in ((2_187, [(start >> 15, "list", 4 * 2_187)]), (2_188, [(0, "bitmap", 512 * 8), (1, "bitmap", 512 * 8), (2, "bitmap", 70 * 8)])):
+        frame = spark.range(start, start + many).selectExpr("1 as m", "id as i")
+        sent = codec.messages(frame, ["m"], "i", 70_000, "auto")
+        assert rows(sent.select("bucket", "kind", codec.payload())) == told
+        assert rows(codec.unpack(sent, ["m"], "i")) == [(1, i) for i in range(start, start + many)]
+
+
 def test_bytes_of_blocks_of_many_buckets(spark):
     """A block of 70,000 places takes 1,094 words as a bitmap, however few of them are set; a list takes what it holds."""
     far = [(u * 30_000, v * 30_000) for u, v in TOY]
