@@ -150,6 +150,26 @@ def test_edges_stay_in_place_and_in_order(spark, toy):
     assert "key#" in scan.split("], [")[1] and " OR " in scan, scan
 
 
+def test_lists_are_made_by_all_tasks(spark, monkeypatch):
+    """Few cells are few tasks: chunks are collected before they are moved there, where they are only put in order."""
+    monkeypatch.setattr("levelgrid.plans.layout.held_in_place", lambda frame, *_: frame)
+    for layout in (GridLayout(GridSpec(8, 2, 1)), ModuloLayout(2)):
+        with held(spark, PLACED):
+            plan = executed(build(graph_of(spark, TOY), layout))
+        above, below = plan.split("Exchange hashpartitioning(cell", 1)
+        assert "Window" not in above and "Aggregate" not in above and "Sort" in above, plan
+        assert "Window" in below and "Exchange hashpartitioning(key" in below, plan
+
+
+def test_chunks_of_hubs(spark):
+    """Chunks are sorted, full but for the last, and in order in their cell."""
+    star = [(0, i) for i in range(1, 50)] + [(51, 50)]
+    placed = build(graph_of(spark, star), ModuloLayout(2), chunk=20).adjacency
+    assert [(r["part"], r["targets"]) for r in placed.where("key = 0").orderBy("part").collect()] == [(0, list(range(1, 21))), (1, list(range(21, 41))), (2, list(range(41, 50)))]
+    for cell in placed.select("key", "part", F.spark_partition_id().alias("task")).groupBy("task").agg(F.collect_list(F.struct("key", "part")).alias("rows")).collect():
+        assert cell["rows"] == sorted(cell["rows"])
+
+
 def test_stretches():
     assert stretches([3, 4, 9]) == [(3, 4), (9, 9)] and stretches([]) == []
     assert stretches([0, 5, 6, 100], most=2) == [(0, 6), (100, 100)]
