@@ -40,3 +40,21 @@ def test_contract(spark):
     assert set(entry.oracle_sql()) <= set(entry.queries())
     assert set(catalog.QUERIES) <= set(entry.queries())
     assert entry.entry(spark).count() > 0
+
+
+def test_sent_bytes_against_sql_in_blocks_of_many_buckets(spark, tmp_path):
+    """Blocks of 46,875 places are two buckets; bitmaps with one and with both of them set, and lists, as the SQL has them."""
+    lines = [*((o, 0) for o in range(2_000)), (0, 1), *((o, 1) for o in range(78_700, 80_700)), *((o, 1) for o in (100_000, 135_000))]
+    c = duckdb.connect()
+    for name, rows in (
+        ("orders", "SELECT range AS o_orderkey FROM range(700000)"),
+        ("part", "SELECT range AS p_partkey FROM range(50000)"),
+        ("lineitem", f"SELECT * FROM (VALUES {', '.join(map(str, lines))}) x(l_orderkey, l_partkey)"),
+    ):
+        c.execute(f"COPY ({rows}) TO '{tmp_path}/{name}.parquet'")
+        c.execute(f"CREATE VIEW {name} AS SELECT * FROM read_parquet('{tmp_path}/{name}.parquet')")
+    ours = catalog.QUERIES["codec_bytes_auto"](spark, str(tmp_path)).toPandas()
+    theirs = c.execute(catalog.ORACLE_SQL["codec_bytes_auto"]).df()
+    assert set(theirs["kind"]) == {"list", "bitmap"}
+    assert sorted(ours.columns) == sorted(theirs.columns)
+    assert comparable(ours) == comparable(theirs)
